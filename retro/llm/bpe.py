@@ -9,20 +9,24 @@ left the chain of right halves from the last symbol up to the whole token, on th
 walks both chains in merge order and fails when the pair that touches would merge first. Pairwise compatibility of whole
 tokens that each encode to themselves is enough for the sequence to be the BPE encoding.
 
-`WordBpe` and `ByteBpe` split whole texts as the two file kinds do (words with ends and lower case; bytes with spaces kept) and remember
-chunks between white space. Texts with special tokens or odd control characters go to the tokenizers library itself.
+`WordBpe` and `ByteBpe` split whole texts as the two file kinds do (words with ends and lower case; bytes with spaces kept). Splitting is
+vectorised over the characters of a block of texts, pieces are told apart by 64-bit hashes, and the ids of known pieces are gathered
+from flat arrays, so that only pieces that a worker has not seen are spelled out in Python. Texts with special tokens or odd control
+characters go to the tokenizers library itself.
 """
 
 from __future__ import annotations
 
 import json
 import re
+import sys
 import unicodedata
 
 import numpy as np
-import regex
 from tokenizers import Tokenizer
 
+from retro.llm.vector_text import mix64, span_sums
+
 _NEVER = np.int64(1 << 40)
 
 
@@ -35,8 +39,10 @@ def byte_letters() -> list[str]:
 
 
 class Bpe:
-    #: Chunks and pieces remembered by a worker.
-    remember = 600_000
+    #: Pieces remembered by a worker (about 40 bytes each).
+    remember = 3_000_000
+    #: Whether tokens are proposed and verified first, or all pieces merged exactly at once. The ids are the same.
+    speculate = True
 
     def __init__(self, source: str):
         spec = json.loads(source)
@@ -59,6 +65,11 @@ class Bpe:
         key = left * self.size + right
         order = np.argsort(key, kind="stable")
         self._key, self._rank, self._made = key[order], order.astype(np.int64), made[order]
+        slot = self._slot(self._key)
+        self._table = np.full(1 << 18, -1)
+        self._table[slot] = np.arange(len(key))
+        self._shared = np.zeros(1 << 18, dtype=bool)
+        self._shared[slot[self._table[slot] != np.arange(len(key))]] = True
         self.letters = byte_letters()
         self._ascii = {b: self.letters[b] for b in range(128)}
         n = len(self.suffix)
@@ -69,8 +80,9 @@ class Bpe:
         for t in self._inner:
             if len(t) > self._reach.get(t[:3], 2):
                 self._reach[t[:3]] = len(t)
+        self._byte_id = np.array([self._inner.get(c, 0) for c in self.letters])
+        self._end_id = np.array([self._last.get(c, 0) for c in self.letters])
         self._tails: dict[str, tuple[int, ...]] = {}
-        self._pieces: dict[str, bytes] = {}
         self._chains(vocab, left, right, made)
 
     def _chains(self, vocab: dict[str, int], left: np.ndarray, right: np.ndarray, made: np.ndarray) -> None:
@@ -86,9 +98,12 @@ class Bpe:
         ended = [bool(n) and t.endswith(self.suffix) for t in names]
         symbols = [self._symbols(t[:-n] if e else t, e or not n) for t, e in zip(names, ended, strict=True)]
         ok = [s is not None for s in symbols]
-        got = self.merged([s for s in symbols if s is not None])
+        known = [x for x in symbols if x is not None]
+        got, size = self.merged(np.fromiter((k for x in known for k in x), np.int64), np.array([len(x) for x in known]))
+        one = size == 1
+        whole = got[np.cumsum(size)[one] - 1]
         self.sound = np.zeros(self.size, dtype=bool)
-        self.sound[[k for k, g in zip(ids[np.array(ok)], got, strict=True) if len(g) == 1 and g[0] == k]] = True
+        self.sound[whole[whole == ids[np.array(ok)][one]]] = True
         self.sound &= times <= 1
         self._chain = []
         for side in (1, 0):
@@ -110,11 +125,21 @@ class Bpe:
         except (KeyError, IndexError):
             return None
 
+    @staticmethod
+    def _slot(key: np.ndarray) -> np.ndarray:
+        return ((key.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(46)).astype(np.int64)
+
     def _look_up(self, a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Rank (or never) and place of the merge of each pair."""
+        """Rank (or never) and place of the merge of each pair, from a hash table; keys that share a slot are searched for."""
         key = a * self.size + b
-        at = np.minimum(np.searchsorted(self._key, key), len(self._key) - 1)
-        return np.where(self._key[at] == key, self._rank[at], _NEVER), at
+        slot = self._slot(key)
+        at = np.maximum(self._table[slot], 0)
+        good = self._key[at] == key
+        other = np.flatnonzero(~good & self._shared[slot])
+        if len(other):
+            at[other] = np.minimum(np.searchsorted(self._key, key[other]), len(self._key) - 1)
+            good[other] = self._key[at[other]] == key[other]
+        return np.where(good, self._rank[at], _NEVER), at
 
     def compatible(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
         (up_a, end_a), (up_b, end_b) = self._chain
@@ -132,12 +157,22 @@ class Bpe:
             live = live[~crossed & ((na < _NEVER) | (nb < _NEVER))]
         return good
 
-    def merged(self, pieces: list[list[int]]) -> list[np.ndarray]:
-        """Exact merging: in each piece the lowest ranked pair merges everywhere, from the left, until none is left."""
-        size = np.array([len(p) for p in pieces], dtype=np.int64)
-        out: list[np.ndarray] = [np.zeros(0, np.int64)] * len(pieces)
-        ids = np.fromiter((s for p in pieces for s in p), np.int64, int(size.sum()))
-        owner = np.repeat(np.arange(len(pieces)), size)
+    def _symbols_of(self, pieces: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Symbols of pieces (texts, not byte letters) one after the other, and the number of each."""
+        size = np.array([len(p) if p.isascii() else len(p.encode()) for p in pieces], dtype=np.int64)
+        data = np.frombuffer("".join(pieces).encode(), np.uint8)
+        ids = self._byte_id[data]
+        if self.suffix:
+            last = np.cumsum(size) - 1
+            ids[last] = self._end_id[data[last]]
+        return ids, size
+
+    def merged(self, ids: np.ndarray, size: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Exact merging: in each piece the lowest ranked pair merges everywhere, from the left, until none is left.
+        ids: symbols of the pieces one after the other; gives the tokens likewise."""
+        pieces = len(size)
+        owner = np.repeat(np.arange(pieces), size)
+        done_ids, done_owner = [], []
         while len(ids):
             rank = np.full(len(ids), _NEVER)
             inside = np.flatnonzero(owner[1:] == owner[:-1])
@@ -146,19 +181,25 @@ class Bpe:
             place[inside] = at
             start = np.flatnonzero(np.concatenate(([True], owner[1:] != owner[:-1])))
             best = np.minimum.reduceat(rank, start)
-            runs = np.diff(np.concatenate((start, [len(ids)])))
-            done = np.repeat(best == _NEVER, runs)
-            for s, n in zip(start[best == _NEVER], runs[best == _NEVER], strict=True):
-                out[owner[s]] = ids[s : s + n]
-            hit = (rank == np.repeat(best, runs)) & ~done
-            # of overlapping hits every second one merges, from the left
-            first = hit & ~np.concatenate(([False], hit[:-1]))
-            since = np.arange(len(ids)) - np.maximum.accumulate(np.where(first, np.arange(len(ids)), 0))
-            hit &= since % 2 == 0
+            least = np.repeat(best, np.diff(np.concatenate((start, [len(ids)]))))
+            done = least == _NEVER
+            done_ids.append(ids[done])
+            done_owner.append(owner[done])
+            hit = (rank == least) & ~done
+            again = np.flatnonzero(hit[1:] & hit[:-1])
+            if len(again):
+                # of overlapping hits every second one merges, from the left
+                first = hit & ~np.concatenate(([False], hit[:-1]))
+                hit &= (np.arange(len(ids)) - np.maximum.accumulate(np.where(first, np.arange(len(ids)), 0))) % 2 == 0
             ids = np.where(hit, self._made[place], ids)
-            keep = ~np.concatenate(([False], hit[:-1])) & ~done
+            keep = ~done
+            keep[1:] &= ~hit[:-1]
             ids, owner = ids[keep], owner[keep]
-        return out
+        if not done_ids:
+            return np.zeros(0, np.int64), np.zeros(pieces, np.int64)
+        owner = np.concatenate(done_owner)
+        order = np.argsort(owner, kind="stable")
+        return np.concatenate(done_ids)[order], np.bincount(owner, minlength=pieces)
 
     def _proposed(self, piece: str) -> tuple[int, ...] | None:
         """Greedy longest match. What follows the first match depends on the rest of the piece alone and is remembered."""
@@ -176,7 +217,7 @@ class Bpe:
                         rest = self._proposed(piece[end:]) if n < 200 else self._walked(piece[end:])
                         out = (k, *rest) if rest is not None else None
                         break
-            if n <= 8 and out is not None:
+            if n <= 8 and out is not None and len(memory) < 500_000:
                 memory[piece] = out
         return out
 
@@ -194,9 +235,11 @@ class Bpe:
                 return None
         return tuple(out)
 
-    def encode_pieces(self, pieces: list[str]) -> list[bytes]:
-        """Ids of each piece (in byte letters) as little-endian unsigned 32-bit integers."""
-        proposed = [self._proposed(p) for p in pieces]
+    def encode_pieces(self, pieces: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Tokens of the pieces one after the other, and the number of each."""
+        if not self.speculate:
+            return self.merged(*self._symbols_of(pieces))
+        proposed = [self._proposed(self.spell(p)) for p in pieces]
         size = np.array([len(p) if p else 0 for p in proposed], dtype=np.int64)
         flat = np.fromiter((k for p in proposed if p for k in p), np.int64, int(size.sum()))
         owner = np.repeat(np.arange(len(pieces)), size)
@@ -206,13 +249,14 @@ class Bpe:
         if len(at):
             key, back = np.unique(flat[at] * self.size + flat[at + 1], return_inverse=True)
             bad[owner[at[~self.compatible(key // self.size, key % self.size)[back]]]] = True
-        ends = np.cumsum(size)
-        flat = flat.astype("<u4")
-        out = [flat[e - n : e].tobytes() for e, n in zip(ends.tolist(), size.tolist(), strict=True)]
-        failed = np.flatnonzero(bad).tolist()
-        for k, ids in zip(failed, self.merged([self._symbols(pieces[k], True) or [] for k in failed]), strict=True):
-            out[k] = ids.astype("<u4").tobytes()
-        return out
+        failed = np.flatnonzero(bad)
+        if len(failed):
+            ids, more = self.merged(*self._symbols_of([pieces[k] for k in failed.tolist()]))
+            good = ~bad[owner]
+            owner = np.concatenate([owner[good], np.repeat(failed, more)])
+            flat = np.concatenate([flat[good], ids])[np.argsort(owner, kind="stable")]
+            size[failed] = more
+        return flat, size
 
     # ---- whole texts -----------------------------------------------------------------------------------------------
 
@@ -220,20 +264,59 @@ class Bpe:
         return piece.translate(self._ascii) if piece.isascii() else "".join([self.letters[b] for b in piece.encode()])
 
     def plain(self, text: str) -> bool:
-        return not any(s in text for s in self.special) and _ODD.search(text) is None
+        return _ODD.search(text) is None and not any(s in text for s in self.special)
 
     def by_library(self, text: str) -> bytes:
         return np.array(self.library.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
 
-    def _learn(self, memory: dict[str, bytes], chunks: set[str], pieces_of) -> None:
-        fresh = list(chunks.difference(memory))
-        if not fresh:
-            return
-        parts = [pieces_of(c) for c in fresh]
-        known = self._pieces
-        new = list({p for ps in parts for p in ps if p not in known})
-        known.update(zip(new, self.encode_pieces(new), strict=True))
-        memory.update(zip(fresh, [b"".join([known[p] for p in ps]) for ps in parts], strict=True))
+    def prepared(self, text: str) -> str:
+        return text
+
+    def starts(self, chars: np.ndarray, kinds: np.ndarray, border: np.ndarray, left: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(starts, ends) of pieces. border: first characters of texts; left: characters from each on to its text's end."""
+        raise NotImplementedError
+
+    def _forget(self) -> None:
+        self._hash, self._at, self._size = np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64)
+        self._flat, self._used = np.zeros(1 << 16, "<u4"), 0
+
+    def _learn(self, codes: np.ndarray, pieces: list[str]) -> None:
+        ids, size = self.encode_pieces(pieces)
+        while self._used + len(ids) > len(self._flat):
+            self._flat = np.concatenate([self._flat, np.zeros_like(self._flat)])
+        self._flat[self._used : self._used + len(ids)] = ids
+        where = np.searchsorted(self._hash, codes)
+        at = self._used + np.concatenate(([0], np.cumsum(size)[:-1]))
+        self._hash, self._at, self._size = np.insert(self._hash, where, codes), np.insert(self._at, where, at), np.insert(self._size, where, size)
+        self._used += len(ids)
+
+    def encode(self, texts: list[str]) -> list[bytes]:
+        plain = [self.plain(t) for t in texts]
+        ready = [self.prepared(t) if ok else "" for t, ok in zip(texts, plain, strict=True)]
+        joined = "".join(ready)
+        offsets = np.concatenate(([0], np.cumsum([len(t) for t in ready])))
+        chars = np.frombuffer(joined.encode("utf-32-le"), "<u4")
+        if not len(chars):
+            return [b"" if ok else self.by_library(t) for t, ok in zip(texts, plain, strict=True)]
+        border = np.zeros(len(chars) + 1, dtype=bool)
+        border[offsets] = True
+        left = np.repeat(offsets[1:], np.diff(offsets)) - np.arange(len(chars))
+        start, end = self.starts(chars, _KINDS[chars], border[:-1], left)
+        codes, first, back = np.unique(span_sums(_CODES[chars], start, end), return_index=True, return_inverse=True)
+        if len(self._hash) + len(codes) > self.remember:
+            self._forget()
+        at = np.minimum(np.searchsorted(self._hash, codes), max(0, len(self._hash) - 1))
+        new = self._hash[at] != codes if len(self._hash) else np.ones(len(codes), dtype=bool)
+        if new.any():
+            k = first[new]
+            self._learn(codes[new], [joined[a:b] for a, b in zip(start[k].tolist(), end[k].tolist(), strict=True)])
+            at = np.searchsorted(self._hash, codes)
+        at = at[back]
+        size = self._size[at]
+        ends = np.cumsum(size)
+        ids = self._flat[np.repeat(self._at[at] - (ends - size), size) + np.arange(int(ends[-1]) if len(ends) else 0)].tobytes()
+        cut = 4 * np.concatenate(([0], ends))[np.searchsorted(start, offsets)]
+        return [ids[a:b] if ok else self.by_library(t) for t, ok, a, b in zip(texts, plain, cut[:-1].tolist(), cut[1:].tolist(), strict=True)]
 
     def decode(self, ids: np.ndarray) -> str:
         """As the library decodes without a decoder: tokens with a space between."""
@@ -241,71 +324,84 @@ class Bpe:
         return " ".join([token[k] for k in ids.tolist()])
 
 
-#: The byte letter of a space.
-_SPACE = byte_letters()[32]
 _ODD = re.compile("[\x00\x1c-\x1f]")
+_OTHER, _SPACE, _LETTER, _NUMBER = range(4)
 
 
-class WordBpe(Bpe):
-    """Words with ends: NFC, lower case, white space dropped."""
+def _kinds() -> np.ndarray:
+    """The kind of every character: Unicode white space, letters, numbers, the rest."""
+    group = {"L": _LETTER, "N": _NUMBER}
+    out = np.fromiter((group.get(unicodedata.category(chr(c))[0], _OTHER) for c in range(sys.maxunicode + 1)), np.uint8, sys.maxunicode + 1)
+    out[[9, 10, 11, 12, 13, 32, 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000]] = _SPACE
+    return out
 
-    _wide = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+")
-    _narrow = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-z]+|[0-9]|[^\sa-z0-9]+")
 
-    def __init__(self, source: str):
-        super().__init__(source)
-        self._chunks: dict[str, bytes] = {}
+_KINDS = _kinds()
+_CODES = mix64(np.arange(1, sys.maxunicode + 2, dtype=np.uint64))
 
-    def _pieces_of(self, chunk: str) -> list[str]:
-        low = chunk.replace("Σ", "σ").lower()
-        if low.isalpha():
-            return [low] if low.isascii() else [self.spell(low)]
-        return [self.spell(p) for p in (self._narrow if low.isascii() else self._wide).findall(low)]
 
-    def encode(self, texts: list[str]) -> list[bytes]:
-        memory = self._chunks
-        if len(memory) > self.remember:
-            memory.clear()
-            self._pieces.clear()
-            self._tails.clear()
-        parts = [(t if t.isascii() else unicodedata.normalize("NFC", t)).split() if self.plain(t) else None for t in texts]
-        self._learn(memory, set().union(*[p for p in parts if p is not None]), self._pieces_of)
-        look = memory.__getitem__
-        return [b"".join(map(look, p)) if p is not None else self.by_library(t) for t, p in zip(texts, parts, strict=True)]
+def _contractions(chars: np.ndarray, at: np.ndarray, left: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Of apostrophes at `at`, those that begin one of the seven English endings, and the ends of these."""
+    get = lambda k: np.where(left[at] > k, chars[np.minimum(at + k, len(chars) - 1)], 0)
+    one, two = get(1), get(2)
+    short = np.isin(one, [ord(c) for c in "stmd"])
+    long = (one == ord("r")) & (two == ord("e")) | (one == ord("v")) & (two == ord("e")) | (one == ord("l")) & (two == ord("l"))
+    size = np.where(short, 2, np.where(long, 3, 0))
+    return at[size > 0], (at + size)[size > 0]
 
 
-class ByteBpe(Bpe):
-    """Bytes with spaces kept. A chunk runs from a single space between other characters to the next one."""
+def _split_endings(first: np.ndarray, chars: np.ndarray, kinds: np.ndarray, left: np.ndarray, spaced: bool) -> None:
+    """Marks the piece starts that contractions add and clears those inside them. spaced: a space before joins the apostrophe to it."""
+    at = np.flatnonzero((chars == 39) & first)
+    if spaced and len(at):
+        at = at[~((at > 0) & (chars[np.maximum(at - 1, 0)] == 32) & (left[np.maximum(at - 1, 0)] > 1))]
+    if len(at):
+        at, end = _contractions(chars, at, left)
+        first[at + 1] = False
+        inside = left[at] > end - at
+        first[end[inside]] = True
 
-    _wide = regex.compile(r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+""")
-    _narrow = re.compile(r"""'s|'t|'re|'ve|'m|'ll|'d| ?[A-Za-z]+| ?[0-9]+| ?[^\sA-Za-z0-9]+|\s+(?!\S)|\s+""")
-    _runs = re.compile(r"  |[^\S \n]| \n|\n |^ | \Z")
-    _border = re.compile(r"(?<=\S) (?=\S)")
+
+class WordBpe(Bpe):
+    """Words with ends: NFC, lower case, white space dropped, digits one by one."""
 
     def __init__(self, source: str):
         super().__init__(source)
-        self._heads: dict[str, bytes] = {}
-        self._spaced: dict[str, bytes] = {}
+        self._forget()
 
-    def _pieces_of(self, chunk: str) -> list[str]:
-        return [self.spell(p) for p in (self._narrow if chunk.isascii() else self._wide).findall(chunk)]
+    def prepared(self, text: str) -> str:
+        return text.lower() if text.isascii() else unicodedata.normalize("NFC", text).replace("Σ", "σ").lower()
 
-    def _spaced_pieces_of(self, chunk: str) -> list[str]:
-        if chunk.isalpha():
-            return [_SPACE + (chunk if chunk.isascii() else self.spell(chunk))]
-        return self._pieces_of(" " + chunk)
+    def starts(self, chars, kinds, border, left):
+        first = border.copy()
+        first[1:] |= kinds[1:] != kinds[:-1]
+        first |= kinds == _NUMBER
+        _split_endings(first, chars, kinds, left, spaced=False)
+        start = np.flatnonzero(first)
+        end = np.append(start[1:], len(chars))
+        kept = kinds[start] != _SPACE
+        return start[kept], end[kept]
 
-    def encode(self, texts: list[str]) -> list[bytes]:
-        if len(self._spaced) + len(self._heads) > self.remember:
-            self._heads.clear()
-            self._spaced.clear()
-            self._pieces.clear()
-            self._tails.clear()
-        parts = [(self._border.split(t) if self._runs.search(t) else t.split(" ")) if self.plain(t) else None for t in texts]
-        self._learn(self._heads, {p[0] for p in parts if p is not None}, self._pieces_of)
-        self._learn(self._spaced, set().union(*[p[1:] for p in parts if p is not None]), self._spaced_pieces_of)
-        look = self._spaced.__getitem__
-        return [self._heads[p[0]] + b"".join(map(look, p[1:])) if p is not None else self.by_library(t) for t, p in zip(texts, parts, strict=True)]
+
+class ByteBpe(Bpe):
+    """Bytes with spaces kept: a single space joins what follows it."""
+
+    speculate = False
+
+    def __init__(self, source: str):
+        super().__init__(source)
+        self._forget()
+
+    def starts(self, chars, kinds, border, left):
+        first = border.copy()
+        first[1:] |= kinds[1:] != kinds[:-1]
+        # last characters of white space that text follows: a space joins the next piece, another one stands alone
+        last = np.flatnonzero((kinds[:-1] == _SPACE) & (kinds[1:] != _SPACE) & (left[:-1] > 1))
+        _split_endings(first, chars, kinds, left, spaced=True)
+        first[last] = True
+        first[last[chars[last] == 32] + 1] = False
+        start = np.flatnonzero(first)
+        return start, np.append(start[1:], len(chars))
 
 
 _loaded: dict[tuple[str, int], Bpe] = {}

@@ -103,14 +103,19 @@ def spans_of(member: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.nd
     return start, end, np.searchsorted(start, offsets)
 
 
-def span_codes(data: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
-    """64-bit hashes of byte spans, independent of where the spans stand."""
-    n = len(data)
+def span_sums(values: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+    """64-bit hashes of spans of values (unsigned 64-bit codes), independent of where the spans stand."""
+    n = len(values)
     sums = np.zeros(n + 1, dtype=np.uint64)
-    np.cumsum(_BYTE_CODE[data] * _power_table("up", n), out=sums[1:])
+    np.cumsum(values * _power_table("up", n), out=sums[1:])
     return mix64((sums[end] - sums[start]) * _power_table("down", n + 1)[start])
 
 
+def span_codes(data: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+    """64-bit hashes of byte spans, independent of where the spans stand."""
+    return span_sums(_BYTE_CODE[data], start, end)
+
+
 def words_of(data: np.ndarray, offsets: np.ndarray) -> Words:
     """Maximal runs of bytes other than space and 0x09-0x0D, hashed with A-Z in lower case."""
     start, end, row_at = spans_of(~_SPACE[data], offsets)
