@@ -52,7 +52,10 @@ def in_order(calls: DataFrame, base: DataFrame | None, body: Body, parallel: boo
         start = base.select("comp", F.lit(-1).cast("long").alias("idx"), F.lit(None).cast("string").alias("fn"), F.lit(None).cast(rows.schema["args"].dataType).alias("args"), "tbl", "row_key", "col", "val")
         rows = rows.unionByName(start)
     if parallel:
-        rows = (rows.repartition(parts, "comp") if parts else rows.repartition("comp")).sortWithinPartitions("comp", "idx")
+        # dealt by a hash of comp, not comp itself: an exchange on comp can be dropped as redundant above a union whose inputs
+        # adaptive execution then reads in other partitions
+        parts = parts or int(calls.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+        rows = rows.repartition(parts, F.xxhash64("comp")).sortWithinPartitions("comp", "idx")
     else:
         rows = rows.coalesce(1).sortWithinPartitions("idx")
 

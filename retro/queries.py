@@ -529,7 +529,7 @@ def whatif_seats(spark, sf):
     order removed; capacity is not exhausted, since seats number at most seven."""
     calls = _ratings(spark, sf)
     args = F.create_map(F.lit("flight"), F.col("part"), F.lit("seat"), F.col("l_linenumber").cast("long"), F.lit("customer"), F.col("cust"))
-    rows = calls.select(F.col("commit_idx").alias("idx"), F.col("part").alias("comp"), F.lit("reserve").alias("fn"), args.alias("args"))
+    rows = calls.select(F.col("commit_idx").alias("idx"), F.col("part").alias("comp"), F.when(F.col("part").isNotNull(), "reserve").alias("fn"), args.alias("args"))
     flights = rows.select("comp").distinct().select("comp", F.lit("flight").alias("tbl"), F.col("comp").cast("string").alias("row_key"), F.lit("capacity").alias("col"), F.lit(1000).cast("long").alias("val"))
     body = R.Body({"reserve": W.reserve}, _procedures(W.reserve))
     replay = lambda c: R.in_order(c, flights, body)
