@@ -98,12 +98,19 @@ def reply_ordered(conversations: DataFrame) -> DataFrame:
     before = F.lag("turn").over(Window.partitionBy("conv_id").orderBy("turn"))
     tree = parts.select("conv_id", "turn", before.alias("before")).join(tally, ["conv_id", "turn"], "left")
     tree = tree.select("conv_id", "turn", F.coalesce("answers", "before").alias("reply_to"), F.coalesce("n_quotes", F.lit(0)).alias("n_quotes"), F.coalesce("n_linked", F.lit(0)).alias("n_linked"))
-    # pointer doubling: after k rounds `up` is the ancestor 2^k steps away, or null past the root
+    # pointer doubling: after k rounds `up` is the ancestor 2^k steps away. Messages that reached their root leave the rounds.
     tree = checkpointed(tree.withColumn("up", F.col("reply_to")).withColumn("thread", F.coalesce("reply_to", "turn")).withColumn("depth", F.when(F.col("reply_to").isNull(), 0).otherwise(1).cast("long")))
-    while not tree.where("up is not null").isEmpty():
-        jump = tree.select("conv_id", F.col("turn").alias("up"), F.col("up").alias("up2"), F.col("thread").alias("thread2"), F.col("depth").alias("depth2"))
-        tree = tree.join(jump, ["conv_id", "up"], "left").select("conv_id", "turn", "reply_to", "n_quotes", "n_linked", F.col("up2").alias("up"), F.coalesce("thread2", "thread").alias("thread"), (F.col("depth") + F.coalesce("depth2", F.lit(0))).alias("depth"))
-        tree = checkpointed(tree)
+    columns = tree.columns
+    done, moving = tree.where("up is null"), tree.where("up is not null")
+    while not moving.isEmpty():
+        ups = moving.select("conv_id", "up").distinct()
+        known = done.unionByName(moving).select("conv_id", F.col("turn").alias("up"), F.col("up").alias("up2"), F.col("thread").alias("thread2"), F.col("depth").alias("depth2"))
+        jump = known.join(ups, ["conv_id", "up"], "left_semi")
+        moved = moving.join(jump, ["conv_id", "up"]).select("conv_id", "turn", "reply_to", "n_quotes", "n_linked", F.col("up2").alias("up"), F.col("thread2").alias("thread"), (F.col("depth") + F.col("depth2")).alias("depth"))
+        moved = checkpointed(moved)
+        done = done.unionByName(moved.where("up is null").select(*columns))
+        moving = moved.where("up is not null")
+    tree = done
     out = tree.join(parts.select("conv_id", "turn", "role", "content"), ["conv_id", "turn"])
     position = F.row_number().over(Window.partitionBy("conv_id").orderBy("thread", "depth", "turn"))
     return out.select("conv_id", "turn", "role", "reply_to", "depth", "thread", position.cast("long").alias("position"), "n_quotes", "n_linked", "content")
