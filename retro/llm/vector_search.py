@@ -33,7 +33,7 @@ _ONE, _ALL = np.uint64(1), np.uint64(0xFFFFFFFF)
 @dataclass(frozen=True)
 class PrefixForest:
     trees: int = 24
-    share: float = 1.6
+    share: float = 0.9
     least: int = 6000
     shard: int = 16_384
     query_block: int = 2048
@@ -63,10 +63,15 @@ class PrefixForest:
         level = 32 - np.argmax((held >= wanted)[::-1], axis=0)
         level[held.max(axis=0) < wanted] = 0
         for q in range(len(queries)):
+            at = np.full(self.trees, level[q])
+            if 0 < level[q] < 32:
+                # trees take the last step up one after the other, until there is enough
+                wide, close = (high[k, q] - low[k, q] for k in (level[q], level[q] + 1))
+                total = np.cumsum(wide) + close.sum() - np.cumsum(close)
+                at[int(np.argmax(total >= wanted)) + 1 :] += 1
             mark = np.zeros(n, dtype=bool)
-            a, b = low[level[q], q], high[level[q], q]
             for t in range(self.trees):
-                mark[order[a[t] : b[t], t]] = True
+                mark[order[low[at[t], q, t] : high[at[t], q, t], t]] = True
             yield q, np.flatnonzero(mark)
 
     def search(self, rows: DataFrame, is_query: Column, k: int) -> DataFrame:
