@@ -180,7 +180,7 @@ def test_add_then_remove_is_identity(spark):
 
 def test_waves_agree_and_never_hold_a_conflict(spark):
     rng = random.Random(2)
-    rows = [(1, i, f"c{rng.randint(0, 4)}", rng.choice("RW")) for i in range(60) for _ in range(2)]
+    rows = [(1, i, f"c{rng.randint(0, 4)}", rng.choice("RW")) for i in range(14) for _ in range(2)]
     df = spark.createDataFrame(rows, "comp long, idx long, cell string, mode string")
     a = {r.idx: r.wave for r in R.waves_in_components(df).collect()}
     edges = R.conflict_edges(df.select("idx", "cell", "mode"))
@@ -208,7 +208,7 @@ def test_waves_and_components_replay_like_a_serial_run(spark):
     for i, u, _, _ in calls:
         waves.append((i, order[u]))
         order[u] += 1
-    few = df.where("idx < 9")
+    few = df.where("idx < 5")
     made = R.in_waves(few, spark.createDataFrame(waves, "idx long, wave long"), lambda a: [("wallet", (a["user_id"],), c) for c in ("balance", "rejected")], body)
     assert cells(V.as_of(made)) == cells(V.as_of(R.in_order(few, None, body)))
     assert R.choose_strategy(True, 9) == "fold" and R.choose_strategy(False, 9) == "components" and R.choose_strategy(False, 10**9) == "waves"
