@@ -2,19 +2,31 @@
 
 A document is the set of its distinct word shingles; two link when the Jaccard distance of their sets is at most
 1 - threshold. Distances between unrelated texts are all 1, so whole-space Voronoi cells around sampled documents would
-tie everywhere. The first level therefore works in projected spaces. The shingle universe is dealt into m slices, with m
-above the largest symmetric difference that a linked pair can have, so two linked documents are at distance 0 in at least
-one slice: the pivots of a slice are the projections that occur in it, and a region is the set of documents at
-distance 0 from a pivot. Set sizes are covered by overlapping windows, so m follows the size.
+tie everywhere. The first level therefore uses pivots that tell texts apart:
 
-Regions with more than one document are joined recursively with documents as pivots and the true distance d:
+* single shingles. All shingles have one order, frequent ones last. A linked pair shares an element among the first n - ceil(t n) + 1 of
+  either set, so a document goes to the regions of those first shingles that are not frequent;
+* for documents whose first shingles include frequent ones (they consist of passages or copies that many share), the projections of sets to
+  slices of the shingle universe. There are more slices than a linked pair can differ in, so it is at distance 0 in one of them, and a region is the set of
+  documents at distance 0 from a projection. Overlapping windows of set sizes make the number of slices follow the size.
 
-* every document of the region is compared exactly with the pivots, which then leave the region (their links are known);
-* with eps = 1 - threshold, x goes to the region of pivot p when d(x, p) <= nearest(x) + 2 eps and nearest(x) <= 3 eps,
-  and to the remainder region when nearest(x) > 2 eps. By the triangle inequality each pair within eps meets again;
-* regions whose documents are all in one component already are dropped: no further link can change a component.
+Which shingles count as frequent changes the work, never the result: it is a bounded list, gathered from counts over all documents.
 
-Every row is compared with pivots only, never with all members of its region, and no step collects a group: a region is a
+Regions with more than one document are joined recursively with documents as pivots p_1, p_2, ... With eps = 1 - threshold and d the
+Jaccard distance, every document of the region is compared with the pivots, which then leave it; a document x goes to
+
+* the region of p_k, when d(x, p_k) <= 2 eps and x links with no earlier pivot;
+* the remainder, when x links with no pivot.
+
+By the triangle inequality two documents within eps meet again: if either links with a pivot, take the first such pivot; the other is
+within 2 eps of it. Regions whose documents are in one component already are dropped, for no further link can change a
+component; small regions are compared pair by pair.
+
+A comparison first bounds the symmetric difference from below by the odd sketches of the two sets (the parity of the
+number of elements in each of 2n to 4n buckets), which settles nearly all pairs that are not linked. Only the rest are compared exactly, from the
+texts. Windows may use the bound, since they may hold too much; links never do.
+
+Rows are compared with pivots, never with all members of a large region, and no step collects a group: a region is a
 set of (region, document) rows, pivots are chosen by aggregates, and pivots with many members are salted.
 
 Defined results: null or empty texts and texts without words have n_shingles 0, link with nothing and are their own
@@ -34,7 +46,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window
 
 from retro.llm import vector_text as vt
-from retro.llm.runtime import checkpointed, components, id_and_text
+from retro.llm.runtime import checkpointed, components, id_and_text, tidy
 
 _GOLDEN = np.uint64(0x9E3779B97F4A7C15)
 
@@ -51,9 +63,14 @@ class JaccardJoin:
     #: Regions of at most so many documents are compared pair by pair.
     small: int = 32
     #: Pivots that a larger region takes in a round.
-    pivots: int = 16
+    pivots: int = 128
+    #: A larger region is compared directly while its documents outside its largest component, times its size, are at most this.
+    work: int = 100_000
+    #: Texts of one batch that a frequent shingle stands in, and the most frequent shingles that are kept (8 bytes each).
+    repeats: int = 3
+    frequent_most: int = 1_000_000
     #: Up to so many wanted documents are broadcast to fetch their texts; more are joined by a shuffle.
-    broadcast_rows: int = 50_000
+    broadcast_rows: int = 500_000
 
     def linked(self, both, either):
         return self.whole * both >= self.similar * either
@@ -78,8 +95,32 @@ class JaccardJoin:
         """The largest symmetric difference of two linked sets whose sizes sum to `sizes`."""
         return sizes * (self.whole - self.similar) // (self.whole + self.similar)
 
-    def signatures(self, shingles: np.ndarray) -> np.ndarray:
-        """Identities of the regions of a set, one for each slice of each of its windows that holds any of it.
+    def frequent(self, docs: DataFrame) -> np.ndarray:
+        """Shingles that repeat in several texts of one batch, most frequent first kept up to a bound; sorted."""
+
+        def run(batches):
+            for batch in batches:
+                found = [x for _, block in self.sets(batch.column("text")) for x in block if len(x)]
+                if found:
+                    code, n = np.unique(np.concatenate(found), return_counts=True)
+                    code, n = code[n >= self.repeats], n[n >= self.repeats]
+                    yield pa.RecordBatch.from_arrays([pa.array(code.view(np.int64)), pa.array(n.astype(np.int64))], ["code", "n"])
+
+        counts = id_and_text(docs).mapInArrow(run, "code long, n long").groupBy("code").agg(F.sum("n").alias("n"))
+        kept = counts.orderBy(F.desc("n"), "code").limit(self.frequent_most).select("code").toArrow()
+        return np.sort(kept.column("code").to_numpy().view(np.uint64))
+
+    def signatures(self, shingles: np.ndarray, frequent: np.ndarray) -> np.ndarray:
+        """Identities of the regions of a set."""
+        n = len(shingles)
+        first = n - -(-self.similar * n // self.whole) + 1
+        at = np.minimum(np.searchsorted(frequent, shingles), max(0, len(frequent) - 1))
+        rare = shingles[frequent[at] != shingles] if len(frequent) else shingles
+        own = vt.mix64(rare[:first] + np.uint64(3))
+        return own if len(rare) >= first else np.concatenate([own, self.slices(shingles)])
+
+    def slices(self, shingles: np.ndarray) -> np.ndarray:
+        """One identity for each slice of each of the set's windows that holds any of it.
 
         A linked partner of the window differs in fewer slices than either set fills, or else (slices left empty by chance)
         both sets also name the regions of their prefixes in hash order, of which linked sets share one.
@@ -103,28 +144,60 @@ class JaccardJoin:
 
     # ---- the join ------------------------------------------------------------------------------------------------
 
+    @staticmethod
+    def sketch(shingles: np.ndarray) -> bytes:
+        """Odd sketch: bit b is the parity of the number of elements in bucket b."""
+        buckets = max(64, 1 << (2 * len(shingles) - 1).bit_length())
+        odd = np.bincount((vt.mix64(shingles + np.uint64(5)) & np.uint64(buckets - 1)).astype(np.int64), minlength=buckets) & 1
+        return np.packbits(odd.astype(np.uint8), bitorder="little").tobytes()
+
+    @staticmethod
+    def least_difference(a: bytes, b: bytes) -> int:
+        """At most the symmetric difference of the sets behind two odd sketches. The longer one is folded to the shorter one's buckets."""
+        x, y = np.frombuffer(a, np.uint64), np.frombuffer(b, np.uint64)
+        while len(x) > len(y):
+            x = x[: len(x) // 2] ^ x[len(x) // 2 :]
+        while len(y) > len(x):
+            y = y[: len(y) // 2] ^ y[len(y) // 2 :]
+        return int(np.bitwise_count(x ^ y).sum())
+
     def sizes(self, docs: DataFrame) -> DataFrame:
-        """(doc_id, n_shingles, f1, f2): f1, f2 identify the set."""
+        """(doc_id, n_shingles, f1, f2, sketch): f1, f2 identify the set."""
 
         def run(batches):
             for batch in batches:
-                n, f1, f2 = (np.zeros(batch.num_rows, dtype=np.int64) for _ in range(3))
+                rows = batch.num_rows
+                n, f1, f2, sketch = *(np.zeros(rows, dtype=np.int64) for _ in range(3)), [None] * rows
                 for first, found in self.sets(batch.column("text")):
                     for i, x in enumerate(found, first):
                         if len(x):
-                            n[i] = len(x)
+                            n[i], sketch[i] = len(x), self.sketch(x)
                             f1[i] = np.add.reduce(vt.mix64(x ^ _GOLDEN)).view(np.int64)
                             f2[i] = np.bitwise_xor.reduce(vt.mix64(x + np.uint64(97))).view(np.int64)
-                yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n), pa.array(f1), pa.array(f2)], ["doc_id", "n_shingles", "f1", "f2"])
+                yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n), pa.array(f1), pa.array(f2), pa.array(sketch, pa.binary())], ["doc_id", "n_shingles", "f1", "f2", "sketch"])
 
-        return id_and_text(docs).mapInArrow(run, "doc_id long, n_shingles long, f1 long, f2 long")
+        return id_and_text(docs).mapInArrow(run, "doc_id long, n_shingles long, f1 long, f2 long, sketch binary")
 
     def regions(self, docs: DataFrame, parts: int) -> DataFrame:
-        """(region, f1) rows of the first level's regions that hold more than one set.
+        """(region, a, b): pairs a > b of sets (by f1) that share a small region, once a task (region null); and the members a of larger regions (b null).
 
-        Regions of a batch that repeat in it go out as rows. The others travel as packed arrays, at most one entry for each
-        region and batch, so a task that gathers a region everyone shares holds one entry of each batch.
+        Signatures travel as packed arrays and meet in tasks by their hash. A region that many sets of one batch share sends
+        `sample` of them that way, which shows that it is large, and all its members as rows, so a task that gathers a region everyone shares holds
+        `sample` entries of each batch at most.
         """
+        small, sample = self.small, self.small + 8
+        often = docs.sparkSession.sparkContext.broadcast(self.frequent(docs))
+
+        def members(key, own):
+            """Both sorted by key, repeats dropped; the place in its region and the region's size, for each."""
+            order = np.lexsort((own, key))
+            key, own = key[order], own[order]
+            kept = np.ones(len(key), dtype=bool)
+            kept[1:] = (key[1:] != key[:-1]) | (own[1:] != own[:-1])
+            key, own = key[kept], own[kept]
+            first = np.flatnonzero(np.concatenate(([True], key[1:] != key[:-1]))) if len(key) else np.zeros(0, np.int64)
+            size = np.diff(np.append(first, len(key)))
+            return key, own, np.arange(len(key)) - np.repeat(first, size), np.repeat(size, size)
 
         def emit(batches):
             for batch in batches:
@@ -133,39 +206,39 @@ class JaccardJoin:
                     for x in found:
                         if len(x) and (f1 := np.add.reduce(vt.mix64(x ^ _GOLDEN))) not in done:
                             done.add(f1)
-                            keys.append(self.signatures(x))
+                            keys.append(self.signatures(x, often.value))
                             owner.append(np.full(len(keys[-1]), f1))
                 if not keys:
                     continue
                 key, own = np.concatenate(keys), np.concatenate(owner)
-                # whole owner runs stay together within a destination, so that the shuffle's compression sees repeats
-                order = np.argsort(key, kind="stable")
-                same = np.zeros(len(key), dtype=bool)
-                twice = key[order][1:] == key[order][:-1]
-                same[order[1:]] |= twice
-                later = same.copy()
-                same[order[:-1]] |= twice
-                rows = np.flatnonzero(same)
-                sent = np.flatnonzero(~later)
-                to = (key[sent] >> np.uint64(17)) % np.uint64(parts)
-                sent = sent[np.argsort(to, kind="stable")]
-                ends = np.cumsum(np.bincount(to.astype(np.int64), minlength=parts))
+                k2, o2, place, size = members(key, own)
+                many = size > 2 * sample
+                rows = np.flatnonzero(many)
+                if len(rows):
+                    heavy = np.unique(k2[many])
+                    light = ~np.isin(key, heavy)
+                    some = many & (place < sample)
+                    key, own = np.concatenate([key[light], k2[some]]), np.concatenate([own[light], o2[some]])
+                to = ((key >> np.uint64(17)) % np.uint64(parts)).astype(np.int64)
+                order = np.argsort(to, kind="stable")  # runs of one owner stay together, which the shuffle's compression sees
+                key, own = key[order], own[order]
+                ends = np.cumsum(np.bincount(to, minlength=parts))
                 starts = np.concatenate(([0], ends[:-1]))
-                full = np.flatnonzero(ends > starts)
-                n = len(rows)
+                full, n = np.flatnonzero(ends > starts), len(rows)
                 yield pa.RecordBatch.from_arrays(
                     [
-                        pa.array(np.concatenate([full, own[rows] % np.uint64(parts)]).astype(np.int32)),
-                        pa.array([*(key[sent[starts[p] : ends[p]]].tobytes() for p in full), *[None] * n], pa.binary()),
-                        pa.array([*(own[sent[starts[p] : ends[p]]].tobytes() for p in full), *[None] * n], pa.binary()),
-                        pa.array(np.concatenate([np.zeros(len(full), np.uint64), key[rows]]).view(np.int64)),
-                        pa.array(np.concatenate([np.zeros(len(full), np.uint64), own[rows]]).view(np.int64)),
+                        pa.array(np.concatenate([full.astype(np.uint64), o2[rows] % np.uint64(parts)]).astype(np.int32)),
+                        pa.array([*(key[starts[p] : ends[p]].tobytes() for p in full), *[None] * n], pa.binary()),
+                        pa.array([*(own[starts[p] : ends[p]].tobytes() for p in full), *[None] * n], pa.binary()),
+                        pa.array(np.concatenate([np.zeros(len(full), np.uint64), k2[rows]]).view(np.int64)),
+                        pa.array(np.concatenate([np.zeros(len(full), np.uint64), o2[rows]]).view(np.int64)),
                     ],
-                    ["part", "regions", "owners", "region", "f1"],
+                    ["part", "regions", "owners", "region", "a"],
                 )
 
         def gather(batches):
             keys, owners = [], []
+            none = lambda n: pa.nulls(n, pa.int64())
             for batch in batches:
                 packed = batch.column("regions").is_valid().to_numpy(zero_copy_only=False)
                 for k, o in zip(batch.column("regions").to_pylist(), batch.column("owners").to_pylist(), strict=True):
@@ -173,31 +246,52 @@ class JaccardJoin:
                         keys.append(np.frombuffer(k, np.uint64))
                         owners.append(np.frombuffer(o, np.uint64))
                 if (~packed).any():
-                    yield batch.select(["region", "f1"]).filter(pa.array(~packed))
-            if keys:
-                key, own = np.concatenate(keys), np.concatenate(owners)
-                order = np.argsort(key, kind="stable")
-                key = key[order]
-                twice = key[1:] == key[:-1]
-                at = np.zeros(len(key), dtype=bool)
-                at[1:] |= twice
-                at[:-1] |= twice
-                yield pa.RecordBatch.from_arrays([pa.array(key[at].view(np.int64)), pa.array(own[order][at].view(np.int64))], ["region", "f1"])
-
-        sent = id_and_text(docs).mapInArrow(emit, "part int, regions binary, owners binary, region long, f1 long")
-        return sent.repartition(parts, "part").mapInArrow(gather, "region long, f1 long")
-
-    def compared(self, docs: DataFrame, pairs: DataFrame) -> DataFrame:
-        """(doc, pivot, d, linked) for distinct pairs (doc, pivot): the exact distance of their sets."""
+                    rest = batch.filter(pa.array(~packed))
+                    yield pa.RecordBatch.from_arrays([rest.column("region"), rest.column("a"), none(rest.num_rows)], ["region", "a", "b"])
+            if not keys:
+                return
+            key, own, place, size = members(np.concatenate(keys), np.concatenate(owners))
+            large = size > small
+            yield pa.RecordBatch.from_arrays([pa.array(key[large].view(np.int64)), pa.array(own[large].view(np.int64)), none(int(large.sum()))], ["region", "a", "b"])
+            few = (size > 1) & ~large
+            own, place = own[few], place[few]
+            a, b = [], []
+            for gap in range(1, small):
+                at = np.flatnonzero(place >= gap)
+                a.append(own[at])
+                b.append(own[at - gap])
+            pairs = np.unique(np.stack([np.concatenate(a), np.concatenate(b)], axis=1), axis=0) if len(own) else np.zeros((0, 2), np.uint64)
+            yield pa.RecordBatch.from_arrays([none(len(pairs)), pa.array(pairs[:, 0].copy().view(np.int64)), pa.array(pairs[:, 1].copy().view(np.int64))], ["region", "a", "b"])
+
+        sent = id_and_text(docs).mapInArrow(emit, "part int, regions binary, owners binary, region long, a long")
+        return sent.repartition(parts, "part").mapInArrow(gather, "region long, a long, b long")
+
+    def screened(self, pairs: DataFrame, classes: DataFrame) -> DataFrame:
+        """(doc, pivot, close, window): close: the pair may link; window: it may be within twice the distance of a link."""
+        own, other = (classes.select(F.col("doc").alias(k), F.col("n_shingles").alias(f"n_{k}"), F.col("sketch").alias(f"sketch_{k}")) for k in ("doc", "pivot"))
+        rows = pairs.join(own.hint("merge"), "doc").join(other.hint("merge"), "pivot")
+        reach = 2 * (1 - self.similar / self.whole) + 1e-9
+
+        def run(batches):
+            for batch in batches:
+                total = batch.column("n_doc").to_numpy() + batch.column("n_pivot").to_numpy()
+                least = np.array([self.least_difference(a, b) for a, b in zip(batch.column("sketch_doc").to_pylist(), batch.column("sketch_pivot").to_pylist(), strict=True)], dtype=np.int64)
+                close = least <= total * (self.whole - self.similar) // (self.whole + self.similar)
+                window = 2 * least <= reach * (total + least)
+                yield pa.RecordBatch.from_arrays([batch.column("doc"), batch.column("pivot"), pa.array(close), pa.array(window)], ["doc", "pivot", "close", "window"])
+
+        return rows.select("doc", "pivot", "n_doc", "n_pivot", "sketch_doc", "sketch_pivot").mapInArrow(run, "doc long, pivot long, close boolean, window boolean")
+
+    def linked_pairs(self, docs: DataFrame, pairs: DataFrame, bound: int) -> DataFrame:
+        """Those of the distinct pairs (doc, pivot), at most `bound`, whose sets link, compared exactly."""
         salts = pairs.groupBy("pivot").agg(F.ceil(F.count("*") / self.members).cast("int").alias("salts"))
         wanted = (
-            pairs.join(salts, "pivot")
+            pairs.join(salts.hint("merge"), "pivot")
             .select("doc", "pivot", F.pmod(F.xxhash64("doc"), F.col("salts")).cast("int").alias("salt"), F.lit(1).alias("role"))
             .unionByName(salts.select(F.col("pivot").alias("doc"), "pivot", F.explode(F.sequence(F.lit(0), F.col("salts") - 1)).alias("salt"), F.lit(0).alias("role")))
         )
-        wanted = checkpointed(wanted)
-        few = wanted.count() <= self.broadcast_rows
-        rows = id_and_text(docs).join(F.broadcast(wanted) if few else wanted, F.col("doc_id") == F.col("doc")).select("pivot", "salt", "role", "doc", "text")
+        few = bound <= self.broadcast_rows
+        rows = id_and_text(docs).join(F.broadcast(wanted) if few else wanted.hint("merge"), F.col("doc_id") == F.col("doc")).select("pivot", "salt", "role", "doc", "text")
         rows = rows.repartition("pivot", "salt").sortWithinPartitions("pivot", "salt", "role", "doc")
 
         def run(batches):
@@ -211,59 +305,85 @@ class JaccardJoin:
                             at, base = (pivot[i], salt[i]), x
                         elif at == (pivot[i], salt[i]):
                             both = len(np.intersect1d(base, x, assume_unique=True))
-                            either = len(base) + len(x) - both
-                            out.append((int(doc[i]), int(pivot[i]), 1 - both / either, bool(self.linked(both, either))))
-                yield pa.RecordBatch.from_pylist([dict(zip(("doc", "pivot", "d", "linked"), r, strict=True)) for r in out], pa.schema([("doc", pa.int64()), ("pivot", pa.int64()), ("d", pa.float64()), ("linked", pa.bool_())]))
+                            if self.linked(both, len(base) + len(x) - both):
+                                out.append(i)
+                yield batch.select(["doc", "pivot"]).take(pa.array(out, pa.int64()))
 
-        return rows.mapInArrow(run, "doc long, pivot long, d double, linked boolean")
+        return rows.mapInArrow(run, "doc long, pivot long")
 
     def thinned(self, cells: DataFrame) -> DataFrame:
         """`cells` without those that hold one component only, and with one of those that hold the same documents."""
         kinds = cells.groupBy("region").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("n"), F.sum(F.shiftright(F.xxhash64("doc"), 12)).alias("s1"), F.min("doc").alias("head")).where("lo <> hi")
         one = kinds.groupBy("n", "s1", "head").agg(F.min("region").alias("region"))
-        return cells.join(one.select("region", "n", "head"), "region")
+        return cells.join(one.select("region").hint("merge"), "region").select("region", "doc", "comp")
+
+    def settled(self, docs: DataFrame, close: DataFrame, links: DataFrame | None) -> tuple[DataFrame, DataFrame]:
+        """All links found so far and (node, component) of them, from the pairs that may link. Each document is compared with its least
+        partner first; of the other pairs only those are compared exactly that still lie in two components."""
+        if links is not None:
+            close = close.join(links.hint("merge"), ["doc", "pivot"], "left_anti")
+        close = checkpointed(close)
+        n = close.count()
+        first = close.groupBy("doc").agg(F.min("pivot").alias("pivot"))
+        links, comps = self._joined(docs, first, n, links)
+        label = lambda k: comps.select(F.col("node").alias(k), F.col("component").alias(f"comp_{k}")).hint("merge")
+        rest = close.join(label("doc"), "doc", "left").join(label("pivot"), "pivot", "left")
+        rest = rest.where(F.coalesce("comp_doc", "doc") != F.coalesce("comp_pivot", "pivot")).select("doc", "pivot")
+        rest = checkpointed(rest.join(first.hint("merge"), ["doc", "pivot"], "left_anti"))
+        n = rest.count()
+        tidy(docs.sparkSession)
+        return self._joined(docs, rest, n, links) if n else (links, comps)
+
+    def _joined(self, docs: DataFrame, pairs: DataFrame, bound: int, links: DataFrame | None) -> tuple[DataFrame, DataFrame]:
+        found = self.linked_pairs(docs, pairs, bound)
+        links = checkpointed(found if links is None else links.unionByName(found))
+        return links, checkpointed(components(links.select(F.col("doc").alias("a"), F.col("pivot").alias("b"))))
 
     def join(self, docs: DataFrame) -> DataFrame:
         """(doc_id, n_shingles, component_id) for every row of docs."""
         spark = docs.sparkSession
         parts = max(8, int(spark.conf.get("spark.sql.shuffle.partitions")))
         size = checkpointed(self.sizes(docs))
-        classes = size.where("n_shingles > 0").groupBy("f1", "f2", "n_shingles").agg(F.min("doc_id").alias("doc"))
-        cells = self.regions(docs, parts).distinct().join(classes.select("f1", "doc"), "f1").select("region", "doc").distinct()
-        cells = checkpointed(cells.select("region", "doc", F.col("doc").alias("comp")))
-        known = edges = comps = None
-        eps = 1 - self.similar / self.whole + 1e-9
-        turn = 0
+        classes = checkpointed(size.where("n_shingles > 0").groupBy("f1", "f2", "n_shingles").agg(F.min("doc_id").alias("doc"), F.first("sketch").alias("sketch")))
+        size = size.drop("sketch")
+        shared = checkpointed(self.regions(docs, parts))
+        of = lambda k, name: classes.select(F.col("f1").alias(k), F.col("doc").alias(name), F.col("n_shingles").alias(f"n_{name}")).hint("merge")
+        pairs = shared.where("b is not null").select("a", "b").distinct().join(of("a", "x"), "a").join(of("b", "y"), "b")
+        # linked sets differ little in size: most chance pairs end here, before sketches are fetched
+        pairs = pairs.where(F.least("n_x", "n_y") * self.whole >= F.greatest("n_x", "n_y") * self.similar)
+        seen = self.screened(pairs.select(F.greatest("x", "y").alias("doc"), F.least("x", "y").alias("pivot")), classes)
+        links, comps = self.settled(docs, seen.where("close").select("doc", "pivot"), None)
+        cells = shared.where("b is null").select("region", "a").distinct().join(of("a", "doc"), "a").select("region", "doc")
         while True:
+            cells = cells.join(comps.hint("merge"), F.col("doc") == F.col("node"), "left").select("region", "doc", F.coalesce("component", "doc").alias("comp"))
             cells = checkpointed(self.thinned(cells))
+            tidy(spark)
+            if cells.isEmpty():
+                break
+            # regions in which few documents lie outside the largest component: those against all of other components
+            part = cells.groupBy("region", "comp").agg(F.count("*").alias("m")).groupBy("region").agg(F.max("m").alias("m"), F.max_by("comp", "m").alias("major"), F.sum("m").alias("size"))
+            part = part.withColumn("work", (F.col("size") - F.col("m")) * F.col("size"))
+            cells = checkpointed(cells.join(part.hint("merge"), "region").select("region", "doc", "comp", "major", "work"))
+            whole = cells.where(F.col("work") <= self.work)
+            minor = whole.where("comp <> major").select("region", F.col("doc").alias("pivot"), F.col("comp").alias("comp2"))
+            direct = whole.join(minor.hint("merge"), "region").where("comp <> comp2").select(F.greatest("doc", "pivot").alias("doc"), F.least("doc", "pivot").alias("pivot")).distinct()
+            cells = cells.where(F.col("work") > self.work).select("region", "doc")
             if cells.isEmpty():
+                seen = self.screened(direct, classes)
+                links, comps = self.settled(docs, seen.where("close").select("doc", "pivot"), links)
                 break
-            if turn == 0:
-                # each document against the least of its regions' heads: settles whole groups of copies in one round
-                pairs = cells.groupBy("doc").agg(F.min("head").alias("pivot")).where("doc <> pivot")
-            else:
-                rank = F.row_number().over(Window.partitionBy("region").orderBy("doc"))
-                chosen = cells.select("region", "doc", "n", rank.alias("k")).where((F.col("k") <= self.pivots) | (F.col("n") <= self.small))
-                chosen = checkpointed(chosen.select("region", F.col("doc").alias("pivot"), "k"))
-                met = cells.join(chosen, "region").where("doc <> pivot").select("region", "doc", "comp", "pivot", "k", "n")
-                pairs = met.select("doc", "pivot").distinct()
-            fresh = checkpointed(pairs if known is None else pairs.join(known, ["doc", "pivot"], "left_anti"))
-            found = checkpointed(self.compared(docs, fresh).dropDuplicates(["doc", "pivot"]))
-            known = found if known is None else checkpointed(known.unionByName(found))
-            links = found.where("linked").select(F.col("doc").alias("a"), F.col("pivot").alias("b"))
-            edges = links if edges is None else links.unionByName(comps.select(F.col("node").alias("a"), F.col("component").alias("b")))
-            comps = checkpointed(components(edges))
-            if turn:
-                ways = met.where(F.col("n") > self.small).select("region", "doc", "pivot").join(known, ["doc", "pivot"])
-                ways = ways.join(chosen.select("region", F.col("pivot").alias("doc")), ["region", "doc"], "left_anti")
-                near = ways.groupBy("region", "doc").agg(F.min("d").alias("nearest"))
-                into = ways.select("region", "doc", "pivot", "d").join(near, ["region", "doc"]).where((F.col("nearest") <= 3 * eps) & (F.col("d") <= F.col("nearest") + 2 * eps))
-                rest = near.where(F.col("nearest") > 2 * eps)
-                cells = into.select(F.xxhash64("region", "pivot").alias("region"), "doc").unionByName(rest.select(F.xxhash64("region", F.lit("rest")).alias("region"), "doc"))
-            cells = cells.select("region", "doc").join(comps, F.col("doc") == F.col("node"), "left").select("region", "doc", F.coalesce("component", "doc").alias("comp"))
-            turn += 1
-        classed = classes if comps is None else classes.join(comps, F.col("doc") == F.col("node"), "left")
-        label = F.col("doc") if comps is None else F.coalesce("component", "doc")
-        classed = classed.select("f1", "f2", "n_shingles", label.alias("component_id"))
-        out = size.join(classed, ["f1", "f2", "n_shingles"], "left")
+            rank = F.row_number().over(Window.partitionBy("region").orderBy("doc"))
+            chosen = checkpointed(cells.select("region", F.col("doc").alias("pivot"), rank.alias("k")).where(F.col("k") <= self.pivots))
+            met = checkpointed(cells.join(chosen.hint("merge"), "region").where("doc <> pivot").select("region", "doc", "pivot", "k"))
+            seen = checkpointed(self.screened(met.select("doc", "pivot").unionByName(direct).distinct(), classes))
+            links, comps = self.settled(docs, seen.where("close").select("doc", "pivot"), links)
+            ways = met.join(chosen.select("region", F.col("pivot").alias("doc")).hint("merge"), ["region", "doc"], "left_anti")
+            linked = links.unionByName(links.select(F.col("pivot").alias("doc"), F.col("doc").alias("pivot"))).withColumn("linked", F.lit(True))
+            ways = ways.join(seen.where("window").select("doc", "pivot", F.lit(True).alias("window")).hint("merge"), ["doc", "pivot"], "left").join(linked.hint("merge"), ["doc", "pivot"], "left")
+            first = ways.groupBy("region", "doc").agg(F.min(F.when(F.col("linked"), F.col("k"))).alias("first"))
+            into = ways.where("window").join(first.hint("merge"), ["region", "doc"]).where("first is null or k <= first")
+            rest = first.where("first is null")
+            cells = into.select(F.xxhash64("region", "pivot").alias("region"), "doc").unionByName(rest.select(F.xxhash64("region", F.lit("rest")).alias("region"), "doc"))
+        classed = classes.join(comps.hint("merge"), F.col("doc") == F.col("node"), "left").select("f1", "f2", "n_shingles", F.coalesce("component", "doc").alias("component_id"))
+        out = size.join(classed.hint("merge"), ["f1", "f2", "n_shingles"], "left")
         return out.select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))

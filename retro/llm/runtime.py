@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 from collections.abc import Iterator
 
@@ -29,6 +30,12 @@ def checkpointed(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def tidy(spark: SparkSession) -> None:
+    """Between rounds of an iteration: lets Spark's cleaner drop the shuffle files, checkpoints and broadcasts that nothing refers to any more."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
@@ -81,18 +88,47 @@ def sorted_groups(batches: Iterator[pa.RecordBatch], keys: list[str]) -> Iterato
         yield pa.Table.from_batches(held)
 
 
-def components(edges: DataFrame) -> DataFrame:
+def _roots(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Union-find over the links of one task."""
+    a, b = [], []
+    for batch in batches:
+        a.append(batch.column("a").to_numpy())
+        b.append(batch.column("b").to_numpy())
+    if not a:
+        return
+    nodes, at = np.unique(np.concatenate(a + b), return_inverse=True)
+    x, y = np.split(at, 2)
+    root = np.arange(len(nodes))
+    while True:
+        low = np.minimum(root[x], root[y])
+        new = root.copy()
+        np.minimum.at(new, root[x], low)
+        np.minimum.at(new, root[y], low)
+        while (new[new] != new).any():
+            new = new[new]
+        if (new == root).all():
+            break
+        root = new
+    yield pa.RecordBatch.from_arrays([pa.array(nodes), pa.array(nodes[root])], ["node", "component"])
+
+
+def components(edges: DataFrame, alone: int = 200_000) -> DataFrame:
     """(node, component) for every node of `edges` (a, b): component is the smallest node that links reach.
 
-    Alternates two contractions until nothing moves: each node hangs its larger neighbours, then its smaller ones, on its
-    smallest neighbour. Minima are aggregates, so a node with very many links needs no task of its own.
+    More than `alone` links are contracted by joins: each node hangs its larger neighbours, then its smaller ones, on its
+    smallest neighbour; minima are aggregates, so a node with very many links needs no task of its own. Up to `alone` links, a fixed bound, are
+    finished by one task.
     """
     pair = lambda a, b: (F.greatest(a, b).alias("a"), F.least(a, b).alias("b"))
-    now = checkpointed(edges.select(*pair(F.col("a"), F.col("b"))).where("a <> b").distinct())
-    seen = None
+    now, seen = edges.select(*pair(F.col("a"), F.col("b"))).where("a <> b"), None
+    if now.count() <= alone:
+        return now.coalesce(1).mapInArrow(_roots, "node long, component long")
+    now = checkpointed(now.distinct())
     while True:
         state = now.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
-        if seen == state or not state[0]:
+        if state[0] <= alone:
+            return now.coalesce(1).mapInArrow(_roots, "node long, component long")
+        if seen == state:
             return now.select(F.col("a").alias("node"), F.col("b").alias("component")).union(now.select("b", "b")).groupBy("node").agg(F.min("component").alias("component"))
         seen = state
         both = now.union(now.select("b", "a"))
