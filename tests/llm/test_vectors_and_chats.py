@@ -1,6 +1,7 @@
 """Vector search and near-duplicate vectors against brute force; quotation linking on a fixture; the pipeline and the registered queries."""
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -53,6 +54,34 @@ def test_forest_recall_and_longest_prefixes():
     assert np.mean(hits) >= 0.9
 
 
+@pytest.mark.parametrize("kind", ["random", "copied", "near copies", "unequal norms", "norms in a band"])
+def test_recall_of_the_defaults(spark, kind):
+    rng = np.random.default_rng(11)
+    n, dim, k = 10_256, 64, 20
+    x = rng.standard_normal((n, dim))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    group = rng.random(n) < (1 / 3 if kind in ("copied", "near copies") else 0)
+    x[group] = x[np.argmax(group)]
+    if kind == "near copies":
+        x[group] += 0.02 * rng.standard_normal((group.sum(), dim))
+    if kind == "unequal norms":
+        x *= np.exp(0.5 * rng.standard_normal(n))[:, None]
+    if kind == "norms in a band":
+        x *= rng.uniform(0.75, 1.0, n)[:, None]
+    rows = spark.createDataFrame(pa.table({"vec_id": pa.array(range(n)), "embedding": pa.array(list(x), pa.list_(pa.float64()))}))
+    found = {}
+    for r in PrefixForest().search(rows, F.col("vec_id") % 40 == 0, k).collect():
+        found.setdefault(r.query_id, set()).add(r.vec_id)
+    hits = []
+    for q in range(0, n, 40):
+        score = x @ x[q]
+        score[q] = -np.inf
+        if not group[q]:
+            hits.append(len(found[q] & set(np.argsort(-score, kind="stable")[:k].tolist())) / k)
+        assert len(found[q]) == k
+    assert np.mean(hits) >= 0.95 and np.mean(sorted(hits)[: len(hits) // 10]) >= 0.85
+
+
 def test_search_edges(spark):
     none = vectors(spark, [])
     assert PrefixForest().search(none, F.lit(True), 3).count() == 0
