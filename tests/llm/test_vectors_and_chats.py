@@ -149,6 +149,26 @@ def test_quotation_linking(spark):
     assert quotation.reply_ordered(rows.limit(0)).count() == 0
 
 
+LONG = "First line of it\nsecond line here\nthird line there\n\nA paragraph of its own.\n\nOne sentence. Another sentence! A last one?"
+
+
+@pytest.mark.parametrize(
+    "quote",
+    [
+        "> second line here\n> third line there",
+        "> A paragraph of its own.\n>\n> One sentence. Another sentence! A last one?",
+        "> another  SENTENCE!",
+        "> One sentence. Another sentence!",
+        "> First line of it\n> second line here\n> words that nobody wrote",
+    ],
+)
+def test_quotes_of_a_part(spark, quote):
+    chat = [(1, 0, "user", "Nothing here"), (1, 1, "user", LONG), (1, 2, "assistant", "second line here"), (1, 3, "assistant", "third line there\nOne sentence."), (1, 4, "user", f"{quote}\nMine"), (2, 0, "user", LONG), (2, 1, "user", "Hm"), (2, 2, "user", "> Nothing here\n> that was said\n> by anyone")]
+    out = {(r.conv_id, r.turn): r for r in quotation.reply_ordered(spark.createDataFrame(chat, "conv_id long, turn long, role string, text string")).collect()}
+    assert (out[1, 4].n_quotes, out[1, 4].n_linked, out[1, 4].reply_to, out[1, 4].content) == (1, 1, 1, "Mine")
+    assert (out[2, 2].n_quotes, out[2, 2].n_linked, out[2, 2].reply_to) == (1, 0, 1)
+
+
 def test_nested_levels():
     body, quotes, _ = quotation.parsed("> > deep\n> a\n> b\nown\n>c")
     assert body == "own" and [q[0] for q in quotes] == [2, 1, 1]
