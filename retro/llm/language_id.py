@@ -3,10 +3,10 @@
 A text's vector is its hashed counts of byte n-grams (1 to 3 bytes, A-Z in lower case), with 1 + log(count) weights, inverse
 document frequencies and unit length. Each language has several centroids (spherical k-means of its learning vectors); the
 prediction is the language of the centroid with the largest cosine. A text is rejected when its cosine distance to
-that centroid exceeds the language's limit: the largest distance of a learning text, widened by a margin.
+that centroid exceeds the language's limit: a high quantile of the learning texts' distances, widened by a margin.
 
-Learning uses a bounded sample: about `per_language` labelled rows of each language, chosen by a hash of the id. Scoring runs
-over whole texts of all rows.
+Learning uses a bounded sample: about `per_language` labelled rows with a letter of each language, chosen by a hash of the id. Texts beyond the
+quantile are taken for junk: groups of so few texts, and single texts, keep no centroid of their own while there are larger groups. Scoring runs over whole texts of all rows.
 
 Defined results: a null text or a text without a letter is `und` with score 0 and rejected; with nothing to learn from, every
 text is. Ties go to the smaller language name. Repeated rows are scored each; other columns are ignored.
@@ -25,6 +25,8 @@ from pyspark.sql import functions as F
 from retro.llm import vector_text as vt
 from retro.llm.runtime import filtered, id_and_text
 
+#: The part of a language's learning texts that sets its limit and has centroids.
+QUANTILE = 0.995
 OUT = "doc_id long, lang_pred string, score double, rejected boolean"
 
 
@@ -38,7 +40,7 @@ class LanguageId:
     centroids: int = 6
     #: Labelled rows of each language that are learned from, about.
     per_language: int = 600
-    #: Widening of the largest distance seen in learning, as a part of what is left up to 1.
+    #: Widening of the learning distances' quantile, as a part of what is left up to 1.
     margin: float = 0.5
     names: tuple[str, ...] = ()
     idf: np.ndarray | None = field(default=None, repr=False)
@@ -67,7 +69,7 @@ class LanguageId:
 
     def fit(self, docs: DataFrame, learn: Column) -> LanguageId:
         """docs: doc_id, text, lang. learn: which rows may be learned from."""
-        known = docs.where(learn & F.col("lang").isNotNull() & F.col("text").isNotNull()).select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.col("lang").cast("string").alias("lang"))
+        known = docs.where(learn & F.col("lang").isNotNull() & F.coalesce(F.col("text").cast("string").rlike(r"\p{L}"), F.lit(False))).select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.col("lang").cast("string").alias("lang"))
         share = known.groupBy("lang").agg(F.least(F.lit(1.0), F.lit(1.2 * self.per_language) / F.count("*")).alias("share"))
         drawn = known.join(F.broadcast(share), "lang").where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 20)) < F.col("share") * (1 << 20))
         plain = LanguageId(self.dimensions)
@@ -94,7 +96,7 @@ class LanguageId:
             found = self._cluster(own)
             centre.append(found)
             owner += [i] * len(found)
-            far = 1 - float((own @ found.T).max(axis=1).min())
+            far = float(np.quantile(1 - (own @ found.T).max(axis=1), QUANTILE, method="lower"))
             limit.append(far + self.margin * (1 - far))
         return LanguageId(self.dimensions, self.centroids, self.per_language, self.margin, names, idf, np.concatenate(centre), np.array(owner), np.array(limit))
 
@@ -110,7 +112,9 @@ class LanguageId:
         for _ in range(12):
             at = np.argmax(x @ c.T, axis=1)
             c = np.stack([unit(x[at == k].mean(axis=0)) if (at == k).any() else c[k] for k in range(len(c))])
-        return c
+        size = np.bincount(np.argmax(x @ c.T, axis=1), minlength=len(c))
+        large = size > max(1, (1 - QUANTILE) * len(x))
+        return c[large] if large.any() else c
 
     def score_block(self, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Language index, cosine and whether the distance exceeds the language's limit."""

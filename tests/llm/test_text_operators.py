@@ -254,6 +254,19 @@ def test_language_on_held_out_rows_and_odd_texts(spark):
     assert {r.lang_pred for r in none.predict(table(spark, ODD)).collect()} == {"und"}
 
 
+@pytest.mark.parametrize("junk", [[], ["", "123 -- 456", None], ["ξψχω " * 30], ["", "ξψχω " * 30]])
+def test_junk_among_learning_texts_does_not_lift_the_limit(spark, junk):
+    rng = np.random.default_rng(3)
+    pools = {"aa": ["house", "river", "stone", "under", "bright", "morning", "walked", "slowly"], "bb": ["maison", "fleuve", "pierre", "sous", "clair", "matin", "marchait", "doucement"]}
+    rows = [(100 * i + k, " ".join(rng.choice(pool, 30)), lang) for i, (lang, pool) in enumerate(pools.items()) for k in range(60)]
+    rows += [(900 + k, text, "aa") for k, text in enumerate(junk)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    model = LanguageId().fit(docs, F.lit(True))
+    assert (model.limit < 0.9).all()
+    asked = spark.createDataFrame([(1, "ξψχω " * 20), (2, "漢字仮名" * 30), *((3 + i, " ".join(rng.choice(pool, 20))) for i, pool in enumerate(pools.values()))], "doc_id long, text string")
+    assert {r.doc_id: r.rejected for r in model.predict(asked).collect()} == {1: True, 2: True, 3: False, 4: False}
+
+
 def toxic_texts(spark, n=400):
     rng = np.random.default_rng(1)
     words = [f"w{k}" for k in range(300)]
