@@ -539,6 +539,33 @@ def whatif_seats(spark, sf):
     return state.groupBy(F.col("row_key").alias("flight")).agg(cell("taken"), cell("conflicts"))
 
 
+def _seat_world(spark, sf):
+    """Calls, the targets (every hundredth order) and the flights' cells at the start: capacity is p_size."""
+    calls = checkpointed(W.seat_calls(spark, sf))
+    seat = [F.lit("flight"), F.col("part"), F.lit("seat"), F.col("seat")]
+    args = F.when(F.col("fn") == "cancel", F.create_map(*seat)).otherwise(F.create_map(*seat, F.lit("customer"), F.col("cust")))
+    rows = calls.select(F.col("commit_idx").alias("idx"), F.col("part").alias("comp"), "fn", args.alias("args"))
+    targets = calls.where("o_orderkey % 100 = 0").select(F.col("commit_idx").alias("idx"))
+    size = table(spark, sf, "part").select(F.col("p_partkey").cast("long").alias("comp"), F.col("p_size").cast("long").alias("val"))
+    base = rows.select("comp").distinct().join(size, "comp").select("comp", F.lit("flight").alias("tbl"), F.col("comp").cast("string").alias("row_key"), F.lit("capacity").alias("col"), "val")
+    return rows, targets, base
+
+
+SEATS = {"reserve": W.reserve, "cancel": W.cancel, "change_seat": W.change_seat}
+
+
+@query()
+def whatif_seats_full(spark, sf):
+    """The whole seats workload: return flag R cancels, A changes and N reserves (flight = part, seat = line number) by ship date, with p_size seats in a
+    flight. Every hundredth order removed. No oracle: guards on state make it a replay; a test holds it against an exhaustive one."""
+    rows, targets, base = _seat_world(spark, sf)
+    body = R.Body(SEATS, _procedures(*SEATS.values()))
+    replay = lambda c: R.in_order(c, base, body)
+    state = V.as_of(P.component_whatif(rows, targets, replay(rows), replay).where("tbl = 'flight'"))
+    cell = lambda c: F.coalesce(F.max(F.when(F.col("col") == c, F.col("val"))), F.lit(0)).alias(c)
+    return state.groupBy(F.col("row_key").alias("flight")).agg(cell("taken"), cell("conflicts"), cell("full"), cell("missed"))
+
+
 # ---- the compared symbolic system ------------------------------------------------------------------------------------
 
 

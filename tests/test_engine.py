@@ -294,3 +294,33 @@ def test_scenarios_publish_and_catch_up(spark, tmp_path):
     assert mark == 60 and n == 1 and cells(state) == folded([r for r in rows if r[0] != 5])
     store.publish("no-5", mark)
     assert store.current() == {"scenario": "no-5", "lineage": ["no-5"], "high_water": 60} and store.scenarios().count() == 1
+
+
+def test_seats_with_capacity_against_exhaustive_replay(spark):
+    import duckdb
+
+    from retro import queries as Q
+
+    sf = "/root/testdata/sf0.001"
+    path = lambda t: f"'{sf}/{t}.parquet'"
+    size = dict(duckdb.sql(f"SELECT p_partkey, p_size FROM {path('part')}").fetchall())
+    lines = duckdb.sql(f"SELECT l_partkey, l_linenumber, l_returnflag, o_orderkey FROM {path('lineitem')} JOIN {path('orders')} ON l_orderkey = o_orderkey ORDER BY l_shipdate, o_orderkey, l_linenumber, l_partkey, l_suppkey, round(l_quantity * 100), round(l_extendedprice * 100), round(l_discount * 100), round(l_tax * 100), l_returnflag, l_linestatus").fetchall()
+    taken, count = {}, {}
+    for part, seat, flag, order in lines:
+        if order % 100 == 0:
+            continue
+        own, n = taken.setdefault(part, set()), count.setdefault(part, [0, 0, 0])
+        if flag == "R":
+            own.discard(seat)
+        elif flag == "A":
+            n[2] += seat not in own
+        elif seat in own:
+            n[0] += 1
+        elif len(own) >= size[part]:
+            n[1] += 1
+        else:
+            own.add(seat)
+    got = {int(r.flight): (r.taken, r.conflicts, r.full, r.missed) for r in Q.whatif_seats_full(spark, sf).collect()}
+    want = {p: (len(taken[p]), *n) for p, n in count.items()}
+    assert {p: w for p, w in want.items() if any(w)} == {p: g for p, g in got.items() if any(g)}
+    assert sum(w[2] for w in want.values()) > 0 and sum(w[3] for w in want.values()) > 0
