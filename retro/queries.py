@@ -678,12 +678,13 @@ def hash_match_point(spark, sf):
     return spark.createDataFrame([(H.hash_match(old, new, at),)], "match_idx long")
 
 
-def _membership_worlds(spark, sf):
+def _membership_worlds(spark, sf, whole=False):
+    """Versions with and without one assignment, and its index: of the rows that it touches, or of the whole table."""
     calls = checkpointed(W.event_calls(spark, sf))
     effects = checkpointed(W.membership_effects(calls))
     n = calls.count()
     at = effects.where(F.col("idx") >= n // 10).agg(F.min("idx")).first()[0]
-    rows = effects.join(effects.where(F.col("idx") == at).select("row_key"), "row_key", "left_semi")
+    rows = effects if whole else effects.join(effects.where(F.col("idx") == at).select("row_key"), "row_key", "left_semi")
     old = V.fold(rows)
     new = V.fold(rows.where(F.col("idx") != at))
     return old, new, at
@@ -691,12 +692,15 @@ def _membership_worlds(spark, sf):
 
 @query("SELECT true AS equal_after_match, false AS equal_before_target")
 def hash_literal_check(spark, sf):
-    """States behind a hash match are equal; a state and the one with a row less are not."""
+    """Whole states behind a hash match are equal; a state and the one without a row that the match never read are not."""
     old, new, at = _membership_worlds(spark, sf)
     match = H.hash_match(old, new, at)
-    same = H.literal_match(V.as_of(old, match + 1), V.as_of(new, match + 1))
-    state = V.as_of(old)
-    return spark.createDataFrame([(same, H.literal_match(state, state.limit(0)))], "equal_after_match boolean, equal_before_target boolean")
+    touched = old.select("row_key").distinct()
+    old, new, _ = _membership_worlds(spark, sf, whole=True)
+    then = checkpointed(V.as_of(old, match + 1))
+    same = H.literal_match(then, V.as_of(new, match + 1))
+    other = then.join(touched, "row_key", "left_anti").agg(F.min("row_key")).first()[0]
+    return spark.createDataFrame([(same, H.literal_match(then, then.where(F.col("row_key") != other)))], "equal_after_match boolean, equal_before_target boolean")
 
 
 # ---- nondeterminism, scenarios, rules --------------------------------------------------------------------------------

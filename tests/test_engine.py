@@ -324,3 +324,12 @@ def test_seats_with_capacity_against_exhaustive_replay(spark):
     want = {p: (len(taken[p]), *n) for p, n in count.items()}
     assert {p: w for p, w in want.items() if any(w)} == {p: g for p, g in got.items() if any(g)}
     assert sum(w[2] for w in want.values()) > 0 and sum(w[3] for w in want.values()) > 0
+
+
+def test_literal_check_compares_whole_tables(spark, monkeypatch):
+    from retro import queries as Q
+
+    literal, sizes = H.literal_match, []
+    monkeypatch.setattr(H, "literal_match", lambda a, b: sizes.append((a.count(), b.count())) or literal(a, b))
+    assert [tuple(r) for r in Q.hash_literal_check(spark, "/root/testdata/sf0.001").collect()] == [(True, False)]
+    assert sizes[0][0] == sizes[0][1] == sizes[1][0] == sizes[1][1] + 1 and sizes[0][0] > 1
