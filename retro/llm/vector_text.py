@@ -1,8 +1,9 @@
 """Vectorised text primitives shared by the text operators.
 
 Everything here works on one Arrow string column at a time and touches whole texts: a column is viewed as one UTF-8 byte
-buffer plus offsets, words are found with byte masks, and word, shingle and n-gram identities are 64-bit polynomial
-hashes that are computed for all words of a block at once.
+buffer plus offsets, words are found with byte masks, and word, shingle and n-gram identities are 64-bit hashes that are computed for
+all words of a block at once. A span's hash is a sum of one pseudo-random number for each (place, value), so that no text,
+however regular, makes two spans meet more often than chance does (a polynomial modulo 2^64 would: Thue-Morse words).
 """
 
 from __future__ import annotations
@@ -13,14 +14,13 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 
-_BASE = np.uint64(0x9E3779B97F4A7C15 | 1)
-_BASE_INVERSE = np.uint64(pow(int(_BASE), -1, 1 << 64))
+_BASE = np.uint64(0x9E3779B97F4A7C15)
 _SPACE = np.zeros(256, dtype=bool)
 _SPACE[[0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D]] = True
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
-_BYTE_CODE = np.random.default_rng(20240229).integers(1, 1 << 63, 256, dtype=np.uint64) | np.uint64(1)
-_powers = {"up": np.ones(1, dtype=np.uint64), "down": np.ones(1, dtype=np.uint64)}
+_BYTE_CODE = np.random.default_rng(20240229).integers(0, 1 << 64, 256, dtype=np.uint64)
+_PLACES = 1 << 12
 
 
 def mix64(x: np.ndarray) -> np.ndarray:
@@ -34,14 +34,14 @@ def mix64(x: np.ndarray) -> np.ndarray:
     return x
 
 
-def _power_table(kind: str, n: int) -> np.ndarray:
-    have = _powers[kind]
-    if len(have) < n:
-        size = 1 << max(16, (n - 1).bit_length())
-        base = np.full(size, _BASE if kind == "up" else _BASE_INVERSE, dtype=np.uint64)
-        base[0] = 1
-        have = _powers[kind] = np.multiply.accumulate(base)
-    return have[:n]
+_PLACE_CODE = mix64(np.arange(1, _PLACES + 1, dtype=np.uint64) * _BASE)
+
+
+def _places(at: np.ndarray) -> np.ndarray:
+    """The code of each place in a span: from a table, computed only for spans longer than it."""
+    if int(at.max()) >= _PLACES:
+        return mix64((at + 1).astype(np.uint64) * _BASE)
+    return _PLACE_CODE[at]
 
 
 def utf8_view(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -104,11 +104,20 @@ def spans_of(member: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.nd
 
 
 def span_sums(values: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
-    """64-bit hashes of spans of values (unsigned 64-bit codes), independent of where the spans stand."""
-    n = len(values)
-    sums = np.zeros(n + 1, dtype=np.uint64)
-    np.cumsum(values * _power_table("up", n), out=sums[1:])
-    return mix64((sums[end] - sums[start]) * _power_table("down", n + 1)[start])
+    """64-bit hashes of spans of values (random unsigned 64-bit codes), independent of where the spans stand. Spans do not overlap."""
+    if not len(start):
+        return np.zeros(0, dtype=np.uint64)
+    low, high = int(start[0]), int(end[-1])
+    # values between spans get places as well; no difference of sums holds them
+    place = np.arange(low, high, dtype=np.int32) - np.repeat(start.astype(np.int32), np.diff(np.append(start, high)))
+    x = _places(place)
+    x ^= values[low:high]
+    x *= np.uint64(0xBF58476D1CE4E5B9)
+    x ^= x >> np.uint64(32)
+    x *= np.uint64(0x94D049BB133111EB)
+    sums = np.zeros(len(x) + 1, dtype=np.uint64)
+    np.cumsum(x, out=sums[1:])
+    return mix64(sums[end - low] - sums[start - low] + (end - start).astype(np.uint64))
 
 
 def span_codes(data: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
