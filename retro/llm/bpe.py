@@ -21,6 +21,7 @@ import json
 import re
 import sys
 import unicodedata
+from functools import cached_property
 
 import numpy as np
 from tokenizers import Tokenizer
@@ -28,6 +29,7 @@ from tokenizers import Tokenizer
 from retro.llm.vector_text import mix64, span_sums
 
 _NEVER = np.int64(1 << 40)
+_TOP = np.int64((1 << 31) - 1)  # stands for _NEVER where ranks are kept in 32 bits
 
 
 def byte_letters() -> list[str]:
@@ -39,17 +41,17 @@ def byte_letters() -> list[str]:
 
 
 class Bpe:
-    #: Pieces remembered by a worker (about 40 bytes each).
-    remember = 3_000_000
+    #: Pieces that a worker remembers; beyond them it starts anew. An entry is 20 bytes and 4 for each id; inserting copies them for a moment.
+    remember = 250_000
+    #: Greedy matches of short ends that are remembered (Python objects, some 200 bytes each).
+    tails = 100_000
     #: Whether tokens are proposed and verified first, or all pieces merged exactly at once. The ids are the same.
     speculate = True
 
     def __init__(self, source: str):
         spec = json.loads(source)
         model = spec["model"]
-        self.library = Tokenizer.from_str(source)
-        self.library.no_truncation()
-        self.library.no_padding()
+        self._source, self._library = source, None
         self.special = [t["content"] for t in spec["added_tokens"]]
         self.suffix = model["end_of_word_suffix"] or ""
         vocab: dict[str, int] = model["vocab"]
@@ -83,38 +85,48 @@ class Bpe:
         self._byte_id = np.array([self._inner.get(c, 0) for c in self.letters])
         self._end_id = np.array([self._last.get(c, 0) for c in self.letters])
         self._tails: dict[str, tuple[int, ...]] = {}
-        self._chains(vocab, left, right, made)
 
-    def _chains(self, vocab: dict[str, int], left: np.ndarray, right: np.ndarray, made: np.ndarray) -> None:
-        """For each token: its chains of halves at either border, bottom up, with the rank of the merge that ends each link."""
+    @property
+    def library(self) -> Tokenizer:
+        """The tokenizers library's own coder, made when a text first needs it."""
+        if self._library is None:
+            self._library = Tokenizer.from_str(self._source)
+            self._library.no_truncation()
+            self._library.no_padding()
+        return self._library
+
+    @cached_property
+    def _borders(self) -> tuple[np.ndarray, list[tuple[np.ndarray, np.ndarray]]]:
+        """Whether each token encodes to itself and in one way; and for each token its chains of halves at either border, bottom
+        up, with the rank of the merge that ends each link. Made when pairs are first checked."""
+        made = np.empty(len(self._key), dtype=np.int64)
+        made[self._rank] = self._made
         times = np.bincount(made, minlength=self.size)
         half = {0: np.full(self.size, -1), 1: np.full(self.size, -1)}
-        half[0][made], half[1][made] = left, right
+        half[0][self._made], half[1][self._made] = self._key // self.size, self._key % self.size
         rank = np.full(self.size, _NEVER)
         rank[made] = np.arange(len(made))
-        ids = np.fromiter(vocab.values(), np.int64, len(vocab))
-        names = list(vocab)
-        n = len(self.suffix)
-        ended = [bool(n) and t.endswith(self.suffix) for t in names]
-        symbols = [self._symbols(t[:-n] if e else t, e or not n) for t, e in zip(names, ended, strict=True)]
-        ok = [s is not None for s in symbols]
-        known = [x for x in symbols if x is not None]
-        got, size = self.merged(np.fromiter((k for x in known for k in x), np.int64), np.array([len(x) for x in known]))
+        spelled = [(t, k, False) for t, k in self._inner.items()] + [(t, k, True) for t, k in self._last.items() if self.suffix]
+        symbols = [(self._symbols(t, ended), k) for t, k, ended in spelled]
+        known = [(x, k) for x, k in symbols if x is not None]
+        got, size = self.merged(np.fromiter((c for x, _ in known for c in x), np.int64), np.array([len(x) for x, _ in known]))
         one = size == 1
         whole = got[np.cumsum(size)[one] - 1]
-        self.sound = np.zeros(self.size, dtype=bool)
-        self.sound[whole[whole == ids[np.array(ok)][one]]] = True
-        self.sound &= times <= 1
-        self._chain = []
+        sound = np.zeros(self.size, dtype=bool)
+        sound[whole[whole == np.array([k for _, k in known])[one]]] = True
+        sound &= times <= 1
+        chain = []
         for side in (1, 0):
             links = [np.arange(self.size)]
             while (half[side][links[-1]] >= 0).any():
                 down = half[side][links[-1]]
                 links.append(np.where(down >= 0, down, links[-1]))
-            link = np.stack(links[::-1], axis=1)
+            link = np.stack(links[::-1], axis=1).astype(np.int32)
             # the rank of the merge that turns a link into the next; repeats at the bottom are passed at once
             ends = np.concatenate([np.where(link[:, 1:] != link[:, :-1], rank[link[:, 1:]], -1), np.full((self.size, 1), _NEVER)], axis=1)
-            self._chain.append((link, ends))
+            ends = np.minimum(ends, _TOP).astype(np.int32)
+            chain.append((link, ends))
+        return sound, chain
 
     def _symbols(self, letters: str, ended: bool) -> list[int] | None:
         try:
@@ -142,19 +154,19 @@ class Bpe:
         return np.where(good, self._rank[at], _NEVER), at
 
     def compatible(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
-        (up_a, end_a), (up_b, end_b) = self._chain
+        (up_a, end_a), (up_b, end_b) = self._borders[1]
         good, i, j = np.ones(len(a), dtype=bool), np.zeros(len(a), np.int64), np.zeros(len(a), np.int64)
         live = np.arange(len(a))
         while len(live):
             p, q = a[live], b[live]
             x, y, na, nb = up_a[p, i[live]], up_b[q, j[live]], end_a[p, i[live]], end_b[q, j[live]]
-            c, _ = self._look_up(x, y)
+            c = np.minimum(self._look_up(x.astype(np.int64), y.astype(np.int64))[0], _TOP)
             crossed = (c < na) & (c <= nb)
             good[live[crossed]] = False
             step = na <= nb
             i[live] += step
             j[live] += ~step
-            live = live[~crossed & ((na < _NEVER) | (nb < _NEVER))]
+            live = live[~crossed & ((na < _TOP) | (nb < _TOP))]
         return good
 
     def _symbols_of(self, pieces: list[str]) -> tuple[np.ndarray, np.ndarray]:
@@ -217,7 +229,7 @@ class Bpe:
                         rest = self._proposed(piece[end:]) if n < 200 else self._walked(piece[end:])
                         out = (k, *rest) if rest is not None else None
                         break
-            if n <= 8 and out is not None and len(memory) < 500_000:
+            if n <= 8 and out is not None and len(memory) < self.tails:
                 memory[piece] = out
         return out
 
@@ -244,7 +256,7 @@ class Bpe:
         flat = np.fromiter((k for p in proposed if p for k in p), np.int64, int(size.sum()))
         owner = np.repeat(np.arange(len(pieces)), size)
         bad = size == 0
-        bad[owner[~self.sound[flat]]] = True
+        bad[owner[~self._borders[0][flat]]] = True
         at = np.flatnonzero(owner[1:] == owner[:-1])
         if len(at):
             key, back = np.unique(flat[at] * self.size + flat[at + 1], return_inverse=True)
@@ -277,17 +289,29 @@ class Bpe:
         raise NotImplementedError
 
     def _forget(self) -> None:
-        self._hash, self._at, self._size = np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64)
+        self._hash, self._at, self._size = np.zeros(0, np.uint64), np.zeros(0, np.int32), np.zeros(0, np.int32)
+        self._hits = np.zeros(0, np.uint32)
         self._flat, self._used = np.zeros(1 << 16, "<u4"), 0
 
+    def _thin(self) -> None:
+        """Forgets the pieces that one block alone has used, or all when the others are too many as well."""
+        kept = np.flatnonzero(self._hits > 1)
+        size = self._size[kept]
+        if len(kept) > self.remember // 2 or int(size.sum()) > 8 * self.remember:
+            return self._forget()
+        ends = np.cumsum(size)
+        flat = self._flat[np.repeat(self._at[kept] - (ends - size), size) + np.arange(int(ends[-1]) if len(ends) else 0)]
+        self._hash, self._size, self._hits, self._at = self._hash[kept], size, np.ones(len(kept), np.uint32), (ends - size).astype(np.int32)
+        self._flat, self._used = np.concatenate([flat, np.zeros(1 << 16, "<u4")]), len(flat)
+
     def _learn(self, codes: np.ndarray, pieces: list[str]) -> None:
         ids, size = self.encode_pieces(pieces)
-        while self._used + len(ids) > len(self._flat):
-            self._flat = np.concatenate([self._flat, np.zeros_like(self._flat)])
+        if self._used + len(ids) > len(self._flat):
+            self._flat = np.concatenate([self._flat[: self._used], np.zeros(len(ids) + self._used // 2, "<u4")])
         self._flat[self._used : self._used + len(ids)] = ids
         where = np.searchsorted(self._hash, codes)
         at = self._used + np.concatenate(([0], np.cumsum(size)[:-1]))
-        self._hash, self._at, self._size = np.insert(self._hash, where, codes), np.insert(self._at, where, at), np.insert(self._size, where, size)
+        self._hash, self._at, self._size, self._hits = (np.insert(x, where, y) for x, y in ((self._hash, codes), (self._at, at), (self._size, size), (self._hits, 0)))
         self._used += len(ids)
 
     def encode(self, texts: list[str]) -> list[bytes]:
@@ -303,16 +327,17 @@ class Bpe:
         left = np.repeat(offsets[1:], np.diff(offsets)) - np.arange(len(chars))
         start, end = self.starts(chars, _KINDS[chars], border[:-1], left)
         codes, first, back = np.unique(span_sums(_CODES[chars], start, end), return_index=True, return_inverse=True)
-        if len(self._hash) + len(codes) > self.remember:
-            self._forget()
+        if len(self._hash) + len(codes) > self.remember or self._used > 16 * self.remember:
+            self._thin()
         at = np.minimum(np.searchsorted(self._hash, codes), max(0, len(self._hash) - 1))
         new = self._hash[at] != codes if len(self._hash) else np.ones(len(codes), dtype=bool)
         if new.any():
             k = first[new]
             self._learn(codes[new], [joined[a:b] for a, b in zip(start[k].tolist(), end[k].tolist(), strict=True)])
             at = np.searchsorted(self._hash, codes)
+        self._hits[at] += 1
         at = at[back]
-        size = self._size[at]
+        size = self._size[at].astype(np.int64)
         ends = np.cumsum(size)
         ids = self._flat[np.repeat(self._at[at] - (ends - size), size) + np.arange(int(ends[-1]) if len(ends) else 0)].tobytes()
         cut = 4 * np.concatenate(([0], ends))[np.searchsorted(start, offsets)]
@@ -415,7 +440,7 @@ def loaded(kind: type[Bpe], source: str) -> Bpe:
     return _loaded[key]
 
 
-def runs(texts: list[str], limit: int = 1 << 20):
+def runs(texts: list[str], limit: int = 1 << 19):
     """Slices of about `limit` characters (one longer text makes a slice)."""
     first, size = 0, 0
     for k, t in enumerate(texts):
