@@ -31,14 +31,15 @@ class Run:
     """One execution: the decisions to force, and the trace of decisions and database operations."""
 
     def __init__(self, values: dict, forced: list[bool], limit: int):
-        self.values, self.forced, self.trace, self.made, self.limit = values, forced, [], 0, limit
+        self.values, self.forced, self.trace, self.made, self.limit = values, forced, [], [0], limit
 
     def value(self, name: str, default=0):
         return self.values.get(name, default)
 
     def fresh(self, kind: str) -> str:
-        self.made += 1
-        return f"{kind}{self.made}"
+        """A name that depends on what came before it in its own loop body alone, whatever bodies before it did."""
+        self.made[-1] += 1
+        return kind + "_".join(map(str, self.made))
 
     def decide(self, condition, concrete: bool) -> bool:
         self.trace.append(("branch", condition, concrete, _place()))
@@ -132,10 +133,23 @@ class FakeDb:
         return Symbol(self.run, ("var", symbol), self.run.value(symbol))
 
     def each(self, rows):
-        """The rows of an argument list; one symbolic row stands for all, so a loop stays a loop."""
-        self.run.trace.append(("loop", _expr(rows)))
-        yield {c: Symbol(self.run, ("item", c), self.run.value(f"item.{c}", 1)) for c in rows.concrete}
-        self.run.trace.append(("end",))
+        """The rows of an argument list; one symbolic row stands for all, so a loop stays a loop, with the branches of its body inside."""
+        run, outer, body = self.run, self.run.trace, []
+        run.made[-1] += 1
+        outer.append(("loop", _expr(rows), body))
+        run.trace, run.made = body, [*run.made, 0]
+        try:
+            yield {c: Symbol(run, ("item", c), run.value(f"item.{c}", 1)) for c in rows.concrete}
+        finally:
+            run.trace, run.made = outer, run.made[:-1]
+
+    def call(self, target, known, *args):
+        """A call whose target depends on data: a chain of branches over the known targets; any other target is a signal."""
+        for name, fn in known.items():
+            if target == name:
+                return fn(self, *args)
+        self.run.trace.append(("unknown", _expr(target)))
+        return None
 
 
 def _tuple(key):
@@ -219,11 +233,18 @@ class Node:
     no: Node | None = None
     signal: str | None = None
 
+    def loops(self) -> list[Node]:
+        return [s[2] for s in self.steps if s[0] == "loop"]
+
     def paths(self) -> int:
-        return (self.yes.paths() + self.no.paths()) if self.test else int(self.signal is None)
+        own = (self.yes.paths() + self.no.paths()) if self.test else int(self.signal is None)
+        for body in self.loops():
+            own *= body.paths()
+        return own
 
     def signals(self) -> int:
-        return (self.yes.signals() + self.no.signals()) if self.test else int(self.signal is not None)
+        own = (self.yes.signals() + self.no.signals()) if self.test else int(self.signal is not None)
+        return own + sum(body.signals() for body in self.loops())
 
 
 @dataclass
@@ -244,10 +265,29 @@ def _merge(node: Node, trace: list[tuple], code: str) -> None:
                 node.test, node.yes, node.no = t[1], Node(signal=f"{code}-{k}y"), Node(signal=f"{code}-{k}n")
             _merge(node.yes if t[2] else node.no, trace[k + 1 :], code)
             return
+        if t[0] == "loop":
+            same = len(node.steps) > len(steps) and node.steps[len(steps)][0] == "loop"
+            body = node.steps[len(steps)][2] if same else Node(signal=f"{code}-{k}l")
+            _merge(body, t[2], f"{code}-{k}")
+            t = ("loop", t[1], body)
+        if t[0] == "unknown":
+            node.steps, node.signal = steps, f"{code}-{k}u"
+            return
         steps.append(t)
     node.steps, node.signal = steps, None
 
 
+def _decisions(trace: list[tuple]) -> list[tuple]:
+    """(condition, side) of every branch in order, those of loop bodies where the loop stands."""
+    out = []
+    for t in trace:
+        if t[0] == "branch":
+            out.append((t[1], t[2]))
+        elif t[0] == "loop":
+            out += _decisions(t[2])
+    return out
+
+
 def run_once(fn: Callable, values: dict, lists: dict, limit: int = 200) -> list[tuple]:
     run = Run(values, [], limit)
     args = []
@@ -265,7 +305,7 @@ def explore(fn: Callable, seed: dict | None = None, lists: dict | None = None, m
     while queue and out.runs < max_paths and time.perf_counter() - began < timeout_s:
         values = queue.pop()
         trace = run_once(fn, values, lists)
-        decisions = [(t[1], t[2]) for t in trace if t[0] == "branch"]
+        decisions = _decisions(trace)
         signature = tuple(decisions)
         if signature in seen:
             continue
@@ -287,11 +327,24 @@ def explore(fn: Callable, seed: dict | None = None, lists: dict | None = None, m
 
 def _close(node: Node, decisions: list) -> None:
     """An infeasible side does nothing and is no signal."""
-    for _, side in decisions:
-        if node.test is None:
-            return
-        node = node.yes if side else node.no
-    node.signal = None
+    sides = iter(decisions)
+    left = len(decisions)
+
+    def walk(node):
+        nonlocal left
+        for body in node.loops():
+            if left:
+                walk(body)
+        if left and node.test is not None:
+            _, side = next(sides)
+            left -= 1
+            child = node.yes if side else node.no
+            if not left:
+                child.signal = None
+            else:
+                walk(child)
+
+    walk(node)
 
 
 def slice_db_effects(node: Node) -> Node:
@@ -309,14 +362,28 @@ def _pruned(node: Node) -> Node:
         return node
     used, kept = set(), []
     for s in reversed(node.steps):
+        if s[0] == "loop":
+            body = slice_db_effects(s[2])
+            if not body.steps and not body.test and not body.signal:
+                continue
+            s = ("loop", s[1], body)
         if s[0] in ("read", "exists", "native") and s[1] not in used:
             continue
         kept.append(s)
         used |= set().union(*(_names(e) for e in _expressions(s)))
+        used |= _used(s[2]) if s[0] == "loop" else set()
     return Node(kept[::-1], signal=node.signal)
 
 
+def _used(node: Node) -> set[str]:
+    """Names that any step or test below needs."""
+    out = set().union(*(_names(e) for s in node.steps for e in _expressions(s)), *(_used(body) for body in node.loops()))
+    return out | _names(node.test) | _used(node.yes) | _used(node.no) if node.test else out
+
+
 def _expressions(step: tuple) -> list:
+    if step[0] == "loop":
+        return [step[1]]
     if step[0] == "read":
         return list(step[3])
     if step[0] == "exists":
@@ -348,8 +415,7 @@ def _py(e) -> str:
 def python_source(p: Procedure) -> str:
     out = [f"def {p.name}(db, v, native):"]
 
-    def steps(items, depth):
-        pad = "    " * depth
+    def steps(items, pad):
         for s in items:
             key = lambda k: "(" + "".join(_py(x) + ", " for x in k) + ")"
             if s[0] == "read":
@@ -364,17 +430,11 @@ def python_source(p: Procedure) -> str:
                 out.append(f"{pad}v[{s[1]!r}] = native({s[2]!r}, {', '.join(_py(x) for x in s[3])})")
             elif s[0] == "loop":
                 out.append(f"{pad}for row in {_py(s[1])}:")
-                depth += 1
-                pad = "    " * depth
-                out.append(f"{pad}pass")
-            elif s[0] == "end":
-                depth -= 1
-                pad = "    " * depth
-        return depth
+                emit(s[2], len(pad) // 4 + 1)
 
     def emit(node, depth):
-        depth = steps(node.steps, depth)
         pad = "    " * depth
+        steps(node.steps, pad)
         if node.signal:
             out.append(f"{pad}raise Signalled({node.signal!r})")
         elif node.test:
@@ -383,11 +443,10 @@ def python_source(p: Procedure) -> str:
             out.append(f"{pad}else:")
             emit(node.no, depth + 1)
         else:
-            out.append(f"{pad}return")
+            out.append(f"{pad}pass")
 
-    # a branch inside a loop ends with its own return only where nothing follows: loops keep to straight rows or guarded tails
     emit(p.tree, 1)
-    return "\n".join(out).replace("return", "pass") + "\n"
+    return "\n".join(out) + "\n"
 
 
 def to_python(p: Procedure) -> Callable:
@@ -415,6 +474,8 @@ def to_sql_script(p: Procedure, keys: dict[str, tuple[str, ...]]) -> str:
     def body(node, pad):
         out = []
         for s in node.steps:
+            if s[0] in ("loop", "native"):
+                raise ValueError(f"{p.name}: a {s[0]} has no form in SQL text; use the Python procedure")
             if s[0] == "read":
                 out.append(f"{pad}SELECT {s[4]} INTO :{s[1]} FROM {s[2]} WHERE {where(s[2], s[3])};")
             elif s[0] == "exists":
@@ -507,6 +568,11 @@ class Cells:
     def each(self, rows):
         yield from rows
 
+    def call(self, target, known, *args):
+        if target not in known:
+            raise Signalled(f"unknown target {target}")
+        return known[target](self, *args)
+
 
 def check_equiv(fn: Callable, p: Procedure, inputs: list[tuple[dict, dict]], native: Callable | None = None) -> bool:
     """Whether function and procedure write the same for every (arguments, database) given."""

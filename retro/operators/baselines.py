@@ -64,6 +64,11 @@ def data_slice(base: DataFrame, changes: list[Change]) -> DataFrame:
     return base.where(test)
 
 
+def query_only(versions: DataFrame, targets: DataFrame) -> DataFrame:
+    """Replay of the logged queries alone: the targets' writes go, all others stand as they were logged, for no branch of the application is decided again."""
+    return versions.join(targets.select("idx"), "idx", "left_anti")
+
+
 def plan_nodes(df: DataFrame) -> int:
     """Size of the analysed logical plan: nodes and expressions, as the length of its text in tokens."""
     return len(df._jdf.queryExecution().analyzed().toString().split())

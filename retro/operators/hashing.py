@@ -11,6 +11,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window
 
+from retro.sources.tables import checkpointed
+
 LIMBS = [f"l{k}" for k in range(8)]
 _NULL = "\\N"
 
@@ -37,10 +39,11 @@ def normalised(df: DataFrame, *keep: str) -> DataFrame:
     return df.select(*keep, F.concat(*digits).alias("hash"))
 
 
-def table_hash(rows: DataFrame, *columns: str) -> DataFrame:
-    """(hash, n_rows) of a table; an empty table has hash 0."""
-    limbs = rows.select(*row_limbs(row_text(*columns)))
-    sums = limbs.agg(*[F.coalesce(F.sum(c), F.lit(0)).cast("decimal(38,0)").alias(c) for c in LIMBS], F.count("*").alias("n_rows"))
+def table_hash(rows: DataFrame, *columns: str, sign: str | None = None) -> DataFrame:
+    """(hash, n_rows) of a table; an empty table has hash 0. sign: a column that is 1 where a statement adds the row and -1 where one takes it away."""
+    way = F.col(sign) if sign else F.lit(1)
+    limbs = rows.select(way.alias("way"), *row_limbs(row_text(*columns)))
+    sums = limbs.agg(*[F.coalesce(F.sum(F.col(c) * F.col("way")), F.lit(0)).cast("decimal(38,0)").alias(c) for c in LIMBS], F.coalesce(F.sum("way"), F.lit(0)).cast("long").alias("n_rows"))
     return normalised(sums, "n_rows")
 
 
@@ -52,35 +55,48 @@ def change_limbs(versions: DataFrame) -> DataFrame:
     return plus.unionByName(minus).groupBy("idx", "tbl").agg(*[F.sum(c).cast("decimal(38,0)").alias(c) for c in LIMBS])
 
 
-def hash_log(versions: DataFrame, bucket: int = 4096) -> DataFrame:
-    """(tbl, idx, hash) after each statement that changes the table: totals of index buckets first, then within buckets."""
-    change = change_limbs(versions).withColumn("bucket", F.floor(F.col("idx") / bucket))
+def running(change: DataFrame) -> DataFrame:
+    """(tbl, idx, l0..l7) summed up to each index, from changes (tbl, idx, bucket, l0..l7): totals of index buckets first, then within buckets."""
     totals = change.groupBy("tbl", "bucket").agg(*[F.sum(c).cast("decimal(38,0)").alias(c) for c in LIMBS])
     before = Window.partitionBy("tbl").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
     base = totals.select("tbl", "bucket", *[F.coalesce(F.sum(c).over(before), F.lit(0)).cast("decimal(38,0)").alias(f"b_{c}") for c in LIMBS])
     inside = Window.partitionBy("tbl", "bucket").orderBy("idx")
-    rows = change.join(base, ["tbl", "bucket"]).select("tbl", "idx", *[(F.sum(c).over(inside) + F.col(f"b_{c}")).cast("decimal(38,0)").alias(c) for c in LIMBS])
-    return normalised(rows, "tbl", "idx")
+    return change.join(base, ["tbl", "bucket"]).select("tbl", "idx", *[(F.sum(c).over(inside) + F.col(f"b_{c}")).cast("decimal(38,0)").alias(c) for c in LIMBS])
+
+
+def hash_log(versions: DataFrame, bucket: int = 4096) -> DataFrame:
+    """(tbl, idx, hash) after each statement that changes the table."""
+    return normalised(running(change_limbs(versions).withColumn("bucket", F.floor(F.col("idx") / bucket))), "tbl", "idx")
+
 
+def unchanged(old: DataFrame, new: DataFrame) -> bool:
+    """Whether two sets of versions change the hashes of all tables alike: then tables that were equal before them are equal after."""
+    minus = change_limbs(old).select("tbl", *[(-F.col(c)).cast("decimal(38,0)").alias(c) for c in LIMBS])
+    sums = change_limbs(new).select("tbl", *LIMBS).unionByName(minus).groupBy("tbl").agg(*[F.sum(c).cast("decimal(38,0)").alias(c) for c in LIMBS])
+    return normalised(sums, "tbl").where(F.col("hash") != "0" * 64).isEmpty()
 
-def hash_match(old: DataFrame, new: DataFrame, last_op: int) -> int | None:
+
+def hash_match(old: DataFrame, new: DataFrame, last_op: int, bucket: int = 4096) -> int | None:
     """The first index after the last retroactive operation at which all touched tables are as in the original history.
 
     old, new: versions of the rows touched by affected statements, in both histories. Other rows contribute nothing to the
-    difference and are never read.
+    difference and are never read. Differences run over totals of index buckets first, then within buckets, so no task sees a whole table's
+    history; where a table's difference turns zero or stops being zero, the number of tables that differ changes, and a match is an index at which it is zero.
     """
     minus = change_limbs(old).select("idx", "tbl", *[(-F.col(c)).cast("decimal(38,0)").alias(c) for c in LIMBS])
-    change = change_limbs(new).unionByName(minus).groupBy("tbl", "idx").agg(*[F.sum(c).cast("decimal(38,0)").alias(c) for c in LIMBS])
-    run = Window.partitionBy("tbl").orderBy("idx")
-    rows = change.select("tbl", "idx", *[F.sum(c).over(run).cast("decimal(38,0)").alias(c) for c in LIMBS])
-    rows = normalised(rows, "tbl", "idx").withColumn("equal", F.col("hash") == F.lit("0" * 64))
-    # tables change at different indices: a table's verdict holds until its next change
-    spans = rows.withColumn("until", F.lead("idx").over(run))
-    points = rows.where(F.col("idx") >= last_op).select("idx").distinct()
-    tables = rows.select("tbl").distinct().count()
-    ok = points.join(spans.where("equal").withColumnRenamed("idx", "from"), (F.col("from") <= F.col("idx")) & (F.col("until").isNull() | (F.col("idx") < F.col("until"))))
-    found = ok.groupBy("idx").agg(F.count("*").alias("n")).where(F.col("n") == tables).agg(F.min("idx")).first()[0]
-    return found
+    change = checkpointed(change_limbs(new).unionByName(minus).groupBy("tbl", "idx").agg(*[F.sum(c).cast("decimal(38,0)").alias(c) for c in LIMBS]).withColumn("bucket", F.floor(F.col("idx") / bucket)))
+    rows = normalised(running(change), "tbl", "idx").withColumn("bucket", F.floor(F.col("idx") / bucket)).withColumn("differs", (F.col("hash") != F.lit("0" * 64)).cast("int"))
+    # a table's state lasts until its next change; what matters are its turns, +1 where it begins to differ and -1 where it ends
+    inside = Window.partitionBy("tbl", "bucket").orderBy("idx")
+    ends = rows.groupBy("tbl", "bucket").agg(F.max_by("differs", "idx").alias("end"))
+    carried = ends.select("tbl", "bucket", F.lag("end", 1, 0).over(Window.partitionBy("tbl").orderBy("bucket")).alias("carried"))
+    turns = rows.join(carried, ["tbl", "bucket"]).withColumn("turn", F.col("differs") - F.coalesce(F.lag("differs").over(inside), F.col("carried")))
+    steps = turns.groupBy("idx").agg(F.sum("turn").alias("turn")).withColumn("bucket", F.floor(F.col("idx") / bucket))
+    totals = steps.groupBy("bucket").agg(F.sum("turn").alias("total"))
+    # a row for each bucket of indices
+    before = totals.select("bucket", F.coalesce(F.sum("total").over(Window.orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("before"))
+    differing = steps.join(before, "bucket").withColumn("differing", F.col("before") + F.sum("turn").over(Window.partitionBy("bucket").orderBy("idx")))
+    return differing.where((F.col("idx") >= last_op) & (F.col("differing") == 0)).agg(F.min("idx")).first()[0]
 
 
 def literal_match(old_state: DataFrame, new_state: DataFrame) -> bool:

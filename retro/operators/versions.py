@@ -1,7 +1,7 @@
 """Cell versions, states, three rollbacks, merging and differences.
 
 A version is a row (idx, tbl, row_key, col, val, before): the value of a cell after statement idx, and before it. A deleted row is a
-version with col null; a state at n holds, of each row, the last value of each column since its last deletion.
+version with col null (and, from replay, one with val null for each of its cells); a state at n holds, of each row, the last value of each column since its last deletion.
 """
 
 from __future__ import annotations
@@ -30,12 +30,18 @@ def fold_state(effects: DataFrame) -> DataFrame:
     return last.select(*CELL, "base").join(added, CELL, "full_outer").select(*CELL, (F.coalesce("base", F.lit(0)) + F.coalesce("more", F.lit(0))).alias("val"))
 
 
-def as_of(versions: DataFrame, idx: int | None = None) -> DataFrame:
-    """Temporal rollback: the state just before idx (None: now)."""
+def as_of(versions: DataFrame, idx: int | None = None, by: tuple[str, ...] = ()) -> DataFrame:
+    """Temporal rollback: the state just before idx (None: now). by: further columns that set cells apart."""
     rows = versions if idx is None else versions.where(F.col("idx") < idx)
-    gone = rows.where("col is null").groupBy("tbl", "row_key").agg(F.max("idx").alias("gone"))
-    cells = rows.where("col is not null").groupBy(*CELL).agg(F.max_by("val", "idx").alias("val"), F.max("idx").alias("at"))
-    return cells.join(gone, ["tbl", "row_key"], "left").where("gone is null or at > gone").select(*CELL, "val")
+    gone = rows.where("col is null").groupBy(*by, "tbl", "row_key").agg(F.max("idx").alias("gone"))
+    cells = rows.where("col is not null").groupBy(*by, *CELL).agg(F.max_by("val", "idx").alias("val"), F.max("idx").alias("at"))
+    return cells.join(gone, [*by, "tbl", "row_key"], "left").where("val is not null and (gone is null or at > gone)").select(*by, *CELL, "val")
+
+
+def replayed(state: DataFrame, versions: DataFrame) -> DataFrame:
+    """A state and what later versions make of it."""
+    start = state.select(F.lit(-1).cast("long").alias("idx"), *CELL, "val")
+    return as_of(start.unionByName(versions.select("idx", *CELL, "val")))
 
 
 def inverse(current: DataFrame, versions: DataFrame, idx: int) -> DataFrame:

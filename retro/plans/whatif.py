@@ -7,12 +7,15 @@ at_idx. The edited history keeps commit indices; an added statement sits at (at_
 from __future__ import annotations
 
 import json
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, field
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from retro.operators import versions as V
+from retro.operators.hashing import literal_match, unchanged
+from retro.operators.replay import STOPPED
 from retro.sources.tables import checkpointed, shared_dir
 
 CELL = V.CELL
@@ -43,15 +46,66 @@ def fold_whatif(actual: DataFrame, edited: DataFrame, touched: DataFrame, state:
     return V.replaced(now, cells, fresh)
 
 
-def component_whatif(calls: DataFrame, targets: DataFrame, versions: DataFrame, replay, fresh_calls: DataFrame | None = None) -> DataFrame:
-    """Versions of the edited history when calls depend on the database: components (comp) that hold a target are replayed whole, the logged
-    versions of all others are reused. replay: calls -> versions."""
-    hit = calls.join(targets.select("idx"), "idx", "left_semi").select("comp").distinct()
-    again = calls.join(hit, "comp", "left_semi").join(targets.select("idx"), "idx", "left_anti")
+def component_whatif(calls: DataFrame, targets: DataFrame, versions: DataFrame, replay, fresh_calls: DataFrame | None = None, initial: DataFrame | None = None, early_stop: bool = False) -> DataFrame:
+    """Versions of the edited history when calls depend on the database. Of the components (comp) that hold an operation, the calls from its first
+    one on are replayed, against the state that the logged versions give just before; all other versions are reused as they are.
+
+    replay: (calls, base, logged) -> versions. fresh_calls: calls that the operation adds. initial: cells (comp, tbl, row_key, col, val) before the first call.
+    early_stop: a component's replay ends where its tables are as in the original history again, and the logged versions hold from there.
+    """
+    marks = calls.join(targets.select("idx"), "idx", "left_semi").select("comp", "idx")
+    if fresh_calls is not None:
+        marks = marks.unionByName(fresh_calls.select("comp", "idx"))
+    hit = checkpointed(marks.groupBy("comp").agg(F.min("idx").alias("first"), F.max("idx").alias("last")))
+    again = calls.join(hit, "comp").where("idx >= first").select(*calls.columns).join(targets.select("idx"), "idx", "left_anti").select(*calls.columns)
     if fresh_calls is not None:
-        again = again.unionByName(fresh_calls.select(*again.columns))
-    tainted = calls.join(hit, "comp", "left_semi").select("idx")
-    return V.merged(versions, tainted, replay(again))
+        again = again.unionByName(fresh_calls.select(*calls.columns))
+    own = versions.join(hit, "comp")
+    start = own.where("idx < first").select("comp", "idx", *CELL, "val")
+    if initial is not None:
+        start = start.unionByName(initial.join(hit, "comp").select("comp", F.lit(-1).cast("long").alias("idx"), *CELL, "val"))
+    fresh = replay(again, V.as_of(start, by=("comp",)), own.where("idx >= first") if early_stop else None)
+    kept = versions.join(hit, "comp", "left")
+    if early_stop:
+        fresh = checkpointed(fresh)
+        stops = fresh.where(F.col("tbl") == STOPPED).select("comp", F.col("idx").alias("stop"))
+        kept = kept.join(stops, "comp", "left").where("first is null or idx < first or idx > stop")
+        fresh = fresh.where(F.col("tbl") != STOPPED)
+    else:
+        kept = kept.where("first is null or idx < first")
+    return kept.select(*versions.columns).unionByName(fresh.select(*versions.columns))
+
+
+def bucketed_whatif(calls: DataFrame, targets: DataFrame, versions: DataFrame, replay, cuts: list[int], literal: bool = False) -> tuple[DataFrame, int | None]:
+    """The same for a history that is one component: buckets of commit order run one after the other from the first operation on, and while a bucket runs, a
+    separate job compares the tables' hashes at the end of the one before. Returns the versions and the index from which on the logged ones are
+    reused (None: none are). cuts: the first index of each bucket."""
+    ends = targets.agg(F.min("idx"), F.max("idx")).first()
+    first, last = ends
+    cuts = [first, *(c for c in sorted(cuts) if c > first), None]
+    left = checkpointed(calls.where(F.col("idx") >= first).join(targets.select("idx"), "idx", "left_anti"))
+    state = start = checkpointed(V.as_of(versions, first))
+    made, pending, stop = None, None, None
+
+    def equal(fresh: DataFrame, upto: int) -> bool:
+        old = versions.where((F.col("idx") >= first) & (F.col("idx") < upto))
+        if not unchanged(old, fresh):
+            return False
+        return not literal or literal_match(V.as_of(versions, upto), V.replayed(start, fresh))
+
+    with ThreadPoolExecutor(1) as pool:
+        for low, high in zip(cuts, cuts[1:], strict=False):
+            now = left.where((F.col("idx") >= low) & (F.lit(True) if high is None else F.col("idx") < high))
+            step = checkpointed(replay(now, state.select(F.lit(now.select("comp").first()[0] if not now.isEmpty() else 0).alias("comp"), *CELL, "val"), None))
+            if pending is not None and pending[1].result():
+                stop = pending[0]
+                break
+            made = step if made is None else made.unionByName(step)
+            state = checkpointed(V.replayed(state, step))
+            pending = (high, pool.submit(equal, made, high)) if high is not None and low is not None and high > last else None
+    kept = versions.where((F.col("idx") < first) | (F.col("idx") >= stop if stop is not None else F.lit(False)))
+    made = made.where(F.col("idx") < stop) if stop is not None else made
+    return kept.unionByName(made.select(*versions.columns)), stop
 
 
 @dataclass

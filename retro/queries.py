@@ -5,7 +5,6 @@ The SQL computes each edited history directly and knows nothing of affected sets
 
 from __future__ import annotations
 
-import tempfile
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -22,9 +21,9 @@ from retro.operators import nondeterminism as N
 from retro.operators import replay as R
 from retro.operators import row_ids as I
 from retro.operators import versions as V
-from retro.operators.accesses import accesses, column_sets
+from retro.operators.accesses import column_sets
 from retro.plans import whatif as P
-from retro.sources.tables import checkpointed, elements, shared_dir, table
+from retro.sources.tables import checkpointed, elements, own_folder, table
 from retro.streaming import ingest as S
 from retro.workloads import histories as W
 
@@ -94,8 +93,6 @@ def view_write_expand(spark, sf):
     c = W.shop_catalog()
     c.views["active"] = parse("CREATE VIEW active AS SELECT uid, nickname FROM users WHERE nickname <> 'x'").select
     rows = [(m, e) for m, es in zip("RW", column_sets(parse("UPDATE active SET nickname = 'y' WHERE uid = 'A' AND nickname <> 'x'"), c), strict=True) for e in sorted(es)]
-    more = {("R", "_S.users")} - set(rows)
-    rows += sorted(more) if any(a.table == SCHEMA for a in accesses(parse("SELECT uid FROM active"), c)) else []
     return spark.createDataFrame(rows, "mode string, element string")
 
 
@@ -222,11 +219,14 @@ def _ratings(spark, sf):
     return checkpointed(W.review_calls(spark, sf))
 
 
-def _matches(spark, sf, key):
-    """Reads of ratings by pattern after the rating that the first line wrote."""
+def _matches(spark, sf, key, repeated=False):
+    """Reads of ratings by pattern after the rating that the first line wrote. repeated: the first line whose customer and part come again."""
     calls = _ratings(spark, sf)
-    first = calls.where("commit_idx = 1").first()
-    seed = spark.createDataFrame([("rating", "stars", [str(first.cust), str(first.part)], 1)], "tbl string, col string, key array<string>, t long")
+    at = 1
+    if repeated:
+        at = calls.groupBy("cust", "part").agg(F.min("commit_idx").alias("i"), F.count("*").alias("n")).where("n > 1").agg(F.min("i")).first()[0]
+    first = calls.where(F.col("commit_idx") == at).first()
+    seed = spark.createDataFrame([("rating", "stars", [str(first.cust), str(first.part)], at)], "tbl string, col string, key array<string>, t long")
     rows = calls.select(F.col("commit_idx").alias("idx"), F.lit("R").alias("mode"), F.lit("rating").alias("tbl"), F.lit("stars").alias("col"), key.alias("key"))
     return A.affected(rows, seed, "cell").select(F.col("idx").alias("commit_idx"))
 
@@ -235,9 +235,9 @@ _LINES = """li AS (SELECT row_number() OVER (ORDER BY o_orderdate, o_orderkey, l
  o_orderkey, o_custkey AS cust, l_partkey AS part, l_suppkey AS supp, CAST(round(l_quantity*100) AS BIGINT) AS qty, CAST(round(l_discount*100) AS BIGINT) AS discount, l_shipdate, l_linenumber FROM lineitem JOIN orders ON l_orderkey = o_orderkey)"""
 
 
-@query(f"WITH {_LINES}, f AS (SELECT * FROM li WHERE idx = 1) SELECT li.idx AS commit_idx FROM li, f WHERE li.idx > 1 AND li.cust = f.cust AND li.part = f.part")
+@query(f"WITH {_LINES}, f AS (SELECT * FROM li WHERE idx = (SELECT min(i) FROM (SELECT min(idx) AS i FROM li GROUP BY cust, part HAVING count(*) > 1))) SELECT li.idx AS commit_idx FROM li, f WHERE li.idx > f.idx AND li.cust = f.cust AND li.part = f.part")
 def multi_dim_match(spark, sf):
-    return _matches(spark, sf, F.array(F.col("cust").cast("string"), F.col("part").cast("string")))
+    return _matches(spark, sf, F.array(F.col("cust").cast("string"), F.col("part").cast("string")), repeated=True)
 
 
 @query(f"WITH {_LINES}, f AS (SELECT * FROM li WHERE idx = 1) SELECT li.idx AS commit_idx FROM li, f WHERE li.idx > 1 AND (li.cust = f.cust OR li.part = f.part)")
@@ -336,7 +336,7 @@ def _first(calls, kind, least):
 
 @query(f"WITH {EV}, t AS (SELECT min(idx) AS i FROM ev WHERE event_type = 'purchase' AND idx >= (SELECT count(*) // 10 FROM ev)), e2 AS (SELECT ev.* FROM ev, t WHERE idx <> t.i) {_CELLS.format(ev='e2')}")
 def whatif_remove_event(spark, sf):
-    """REMOVE one purchase at a tenth of the history: analysis by templates, fold replay of the touched cells, all else reused."""
+    """REMOVE one purchase at a tenth of the history: the cells that it touches are folded again, all others keep their value."""
     calls, effects, n = _balance(spark, sf)
     target = spark.createDataFrame([(_first(calls, "purchase", n // 10),)], "idx long")
     edited = P.remove(effects, F.broadcast(target))
@@ -397,41 +397,53 @@ def whatif_diff_scenario(spark, sf):
 # ---- guarded transactions --------------------------------------------------------------------------------------------
 
 
-def _guarded_orders(calls: DataFrame) -> DataFrame:
-    """Orders and the monthly records after them, with the guard on the address decided at replay."""
-    address = calls.where("fn = 'address'").select("cust", F.col("commit_idx").alias("since"))
-    orders = calls.where("fn = 'order'").join(address, "cust", "left").withColumn("placed", F.col("since").isNotNull() & (F.col("since") < F.col("commit_idx")))
-    records = calls.where("fn = 'record'").select("month", F.col("commit_idx").alias("at"))
-    n = orders.where("placed").join(records, "month").where("commit_idx < at").groupBy("month").agg(F.count("*").alias("n"))
+def _shop_replay():
+    """Sign-ups, addresses and guarded orders as procedures that exploration has made of the application's functions."""
+    return R.replayer(R.Body(SHOP_APP, {name: explore(f) for name, f in SHOP_APP.items()}))
+
+
+SHOP_APP = {"signup": W.sign_up, "address": W.give_address, "order": W.place_order}
+
+
+def _shop_world(spark, sf):
+    """Calls of the application by customer, their versions, and the whole log with its elements."""
+    calls, rows = _shop(spark, sf)
+    month = F.concat(F.substring("month", 1, 4), F.substring("month", 6, 2)).cast("long")
+    args = F.map_filter(F.create_map(F.lit("cust"), F.col("cust"), F.lit("oid"), F.col("oid"), F.lit("month"), month), lambda _, v: v.isNotNull())
+    own = checkpointed(calls.where("fn <> 'record'").select(F.col("commit_idx").alias("idx"), F.col("cust").alias("comp"), "fn", args.alias("args")))
+    return calls, rows, own, checkpointed(_shop_replay()(own))
+
+
+def _recorded(calls: DataFrame, versions: DataFrame) -> DataFrame:
+    """What each monthly record counts: the orders of its month that versions hold just before it."""
+    records = calls.where("fn = 'record'").select("month", F.concat(F.substring("month", 1, 4), F.substring("month", 6, 2)).cast("long").alias("val"), F.col("commit_idx").alias("at"))
+    orders = versions.where("tbl = 'orders' and col = 'month' and val is not null").select("val", "idx")
+    n = records.join(orders, "val").where("idx < at").groupBy("month").agg(F.count("*").alias("n"))
     return records.join(n, "month", "left").select("month", F.coalesce("n", F.lit(0)).alias("n_orders"))
 
 
 @query(f"""WITH {SHOP}, t AS (SELECT cust FROM shop WHERE fn = 'address' AND cust = ({ADDRESS})), r AS (SELECT month, idx FROM shop WHERE fn = 'record')
 SELECT r.month, count(o.oid) AS n_orders FROM r LEFT JOIN shop o ON o.fn = 'order' AND o.month = r.month AND o.idx < r.idx AND o.cust % 7 <> 0 AND o.cust <> (SELECT cust FROM t) GROUP BY r.month""")
 def whatif_remove_address_orders(spark, sf):
-    """REMOVE an address: the guard of each later order of that customer is decided again, and the monthly statistics follow.
-
-    Only affected records are recomputed; the rest of the statistics table is reused."""
-    calls, rows = _shop(spark, sf)
+    """REMOVE an address: later orders of that customer run again through the explored procedure, whose guard now fails, and the monthly
+    statistics follow. Records that the fixpoint does not name keep their row."""
+    calls, rows, own, logged = _shop_world(spark, sf)
     target = checkpointed(_address_target(calls))
     hit = A.affected(rows, A.seeds(rows, target), "cell", target)
-    actual = _guarded_orders(calls)
-    months = calls.where("fn = 'record'").join(hit.select(F.col("idx").alias("commit_idx")), "commit_idx", "left_semi").select("month")
-    edited = calls.join(target.select(F.col("idx").alias("commit_idx")), "commit_idx", "left_anti")
-    again = _guarded_orders(edited.join(months, "month", "left_semi").unionByName(edited.where("fn = 'address'")))
-    return actual.join(months, "month", "left_anti").unionByName(again)
+    edited = P.component_whatif(own, target, logged, _shop_replay())
+    again = checkpointed(calls.where("fn = 'record'").join(hit.select(F.col("idx").alias("commit_idx")), "commit_idx", "left_semi").select("month"))
+    return _recorded(calls, logged).join(again, "month", "left_anti").unionByName(_recorded(calls.join(again, "month", "left_semi"), edited))
 
 
 @query(f"""WITH {SHOP}, t AS (SELECT cust FROM shop WHERE fn = 'address' AND cust = ({ADDRESS}))
 SELECT count(*) AS wrong_orders FROM shop, t WHERE fn = 'order' AND shop.cust = t.cust""")
 def queries_only_wrong(spark, sf):
-    """Replaying the logged INSERTs without the application's guard keeps the orders of a customer without an address."""
-    calls = W.shop_calls(spark, sf)
-    target = _address_target(calls)
-    edited = calls.join(target.select(F.col("idx").alias("commit_idx")), "commit_idx", "left_anti")
-    logged = calls.where("fn = 'order'").join(calls.where("fn = 'address'").select("cust"), "cust", "left_semi").select("oid")
-    right = edited.where("fn = 'order'").join(edited.where("fn = 'address'").select("cust"), "cust", "left_semi").select("oid")
-    return logged.join(right, "oid", "left_anti").agg(F.count("*").alias("wrong_orders"))
+    """Replaying the logged queries without the application keeps the orders of a customer whose address is gone."""
+    calls, _, own, logged = _shop_world(spark, sf)
+    target = checkpointed(_address_target(calls))
+    orders = lambda versions: V.as_of(versions.where("tbl = 'orders'")).where("col = 'month'").select("row_key")
+    without, right = orders(B.query_only(logged, target)), orders(P.component_whatif(own, target, logged, _shop_replay()))
+    return without.join(right, "row_key", "left_anti").agg(F.count("*").alias("wrong_orders"))
 
 
 def _wallet(spark, sf):
@@ -449,8 +461,7 @@ WALLET = {"deposit": W.deposit, "spend": W.spend}
 
 
 def _wallet_replay(transpiled: bool, parallel: bool):
-    body = R.Body(WALLET, _procedures(W.deposit, W.spend) if transpiled else None)
-    return lambda calls: R.in_order(calls, None, body, parallel)
+    return R.replayer(R.Body(WALLET, _procedures(W.deposit, W.spend) if transpiled else None), parallel)
 
 
 _GUARD = f"""WITH RECURSIVE {EV}, g AS (SELECT user_id, event_type, cents, row_number() OVER (PARTITION BY user_id ORDER BY idx) AS n FROM ev WHERE event_type IN ('signup', 'purchase') AND idx NOT IN (SELECT min(idx) FROM ev WHERE event_type = 'signup' GROUP BY user_id)),
@@ -460,7 +471,10 @@ SELECT CAST(user_id AS VARCHAR) AS user_id, arg_max(balance, n) AS balance, arg_
 
 
 def _wallet_state(versions: DataFrame, users: DataFrame) -> DataFrame:
-    state = V.as_of(versions)
+    return _wallet_cells(V.as_of(versions), users)
+
+
+def _wallet_cells(state: DataFrame, users: DataFrame) -> DataFrame:
     cell = lambda c: F.coalesce(F.max(F.when(F.col("col") == c, F.col("val"))), F.lit(0)).alias(c)
     return users.select(F.col("comp").cast("string").alias("user_id")).distinct().join(state.withColumnRenamed("row_key", "user_id"), "user_id", "left").groupBy("user_id").agg(cell("balance"), cell("rejected"))
 
@@ -472,22 +486,32 @@ def whatif_guarded_balance(spark, sf):
     targets = calls.where("fn = 'deposit'").groupBy("comp").agg(F.min("idx").alias("idx")).select("idx")
     left = calls.join(targets, "idx", "left_anti")
     replay = _wallet_replay(True, True)
-    return _wallet_state(P.component_whatif(calls, targets, replay(calls), replay), left)
+    return _wallet_state(P.component_whatif(calls, targets, checkpointed(replay(calls)), replay), left)
+
+
+_GUARD_TENTH = _GUARD.replace("idx NOT IN (SELECT min(idx) FROM ev WHERE event_type = 'signup' GROUP BY user_id)", "idx NOT IN (SELECT min(idx) FROM ev WHERE event_type = 'signup' AND user_id % 10 = 0 GROUP BY user_id)")
+SYSTEMS = {"B": (False, False, False), "T": (True, False, False), "D": (False, True, False), "T+D": (True, True, False), "T+D+H": (True, True, True)}
 
 
-@query("SELECT * FROM (VALUES ('B', 0), ('T', 0), ('D', 0), ('T+D', 0)) t(system, differences)")
+def system_state(name: str, calls: DataFrame, targets: DataFrame, logged: DataFrame) -> DataFrame:
+    """The final state that one of the compared systems gives: transpiled or not, dependent calls alone or all, stopping at a hash match or not."""
+    transpiled, dependent, hashes = SYSTEMS[name]
+    replay = _wallet_replay(transpiled, dependent)
+    if dependent:
+        return V.as_of(P.component_whatif(calls, targets, logged, replay, early_stop=hashes))
+    return V.as_of(replay(calls.join(targets, "idx", "left_anti")))
+
+
+@query(f"SELECT system, user_id, balance, rejected FROM (SELECT unnest(['B', 'T', 'D', 'T+D', 'T+D+H']) AS system), ({_GUARD_TENTH})")
 def replay_B_T_D_TD_equal(spark, sf):
-    """Final states of the four systems against exhaustive replay, after removing the first deposit of every tenth user."""
+    """Final states of the five systems after removing the first deposit of every tenth user."""
     calls = _wallet(spark, sf)
     targets = checkpointed(calls.where("fn = 'deposit' and comp % 10 = 0").groupBy("comp").agg(F.min("idx").alias("idx")).select("idx"))
-    left = calls.join(targets, "idx", "left_anti")
+    users = calls.join(targets, "idx", "left_anti").select("comp")
     logged = checkpointed(_wallet_replay(True, True)(calls))
-    truth = checkpointed(V.as_of(_wallet_replay(False, False)(left)))
     out = None
-    for name, transpiled, dependent in (("B", False, False), ("T", True, False), ("D", False, True), ("T+D", True, True)):
-        replay = _wallet_replay(transpiled, dependent)
-        state = V.as_of(P.component_whatif(calls, targets, logged, replay) if dependent else replay(left))
-        one = state.exceptAll(truth).unionByName(truth.exceptAll(state)).agg(F.lit(name).alias("system"), F.count("*").cast("int").alias("differences"))
+    for name in SYSTEMS:
+        one = _wallet_cells(system_state(name, calls, targets, logged), users).withColumn("system", F.lit(name))
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -500,10 +524,9 @@ def whatif_stock_neworder(spark, sf):
     calls = _ratings(spark, sf)
     args = F.create_map(F.lit("part"), F.col("part"), F.lit("qty"), F.floor(F.col("qty") / 100).cast("long"))
     rows = calls.select(F.col("commit_idx").alias("idx"), F.col("part").alias("comp"), F.lit("take_stock").alias("fn"), args.alias("args"))
-    body = R.Body({"take_stock": W.take_stock}, _procedures(W.take_stock))
-    replay = lambda c: R.in_order(c, None, body)
+    replay = R.replayer(R.Body({"take_stock": W.take_stock}, _procedures(W.take_stock)))
     targets = calls.where("o_orderkey % 100 = 0").select(F.col("commit_idx").alias("idx"))
-    return V.as_of(P.component_whatif(rows, targets, replay(rows), replay)).select(F.col("row_key").alias("part"), F.col("val").alias("quantity"))
+    return V.as_of(P.component_whatif(rows, targets, checkpointed(replay(rows)), replay)).select(F.col("row_key").alias("part"), F.col("val").alias("quantity"))
 
 
 @query(f"""WITH {EV}, f AS (SELECT user_id, k % 3 AS slot, idx, event_type, cents FROM ev WHERE event_type IN ('signup', 'error') AND idx % 100 <> 0),
@@ -515,28 +538,27 @@ def whatif_subscriber(spark, sf):
     e = W.event_calls(spark, sf).where("event_type in ('signup', 'error')").withColumn("slot", F.col("k") % 3)
     args = F.when(F.col("event_type") == "signup", F.create_map(F.lit("user_id"), F.col("user_id"), F.lit("slot"), F.col("slot"), F.lit("cents"), F.col("cents"))).otherwise(F.create_map(F.lit("user_id"), F.col("user_id"), F.lit("slot"), F.col("slot")))
     calls = checkpointed(e.select(F.col("commit_idx").alias("idx"), F.col("user_id").alias("comp"), F.when(F.col("event_type") == "signup", "forward").otherwise("unforward").alias("fn"), args.alias("args")))
-    body = R.Body({"forward": W.forward, "unforward": W.unforward}, _procedures(W.forward, W.unforward))
-    replay = lambda c: R.in_order(c, None, body)
-    out = P.component_whatif(calls, calls.where("idx % 100 = 0").select("idx"), replay(calls), replay)
+    replay = R.replayer(R.Body({"forward": W.forward, "unforward": W.unforward}, _procedures(W.forward, W.unforward)))
+    out = P.component_whatif(calls, calls.where("idx % 100 = 0").select("idx"), checkpointed(replay(calls)), replay)
     return V.as_of(out.where("tbl = 'forwarding'")).where("col = 'target'").select("row_key", "val")
 
 
-@query(f"""WITH {_LINES}, c AS (SELECT part, l_linenumber AS seat, cust, row_number() OVER (PARTITION BY part, l_linenumber ORDER BY idx) AS n, idx FROM li WHERE o_orderkey % 100 <> 0),
-f AS (SELECT part, count(*) FILTER (WHERE n = 1) AS wanted, count(*) FILTER (WHERE n > 1) AS again FROM c GROUP BY part)
-SELECT CAST(f.part AS VARCHAR) AS flight, wanted AS taken, again AS conflicts FROM f""")
+@query(f"""WITH {_LINES}, c AS (SELECT part, l_linenumber AS seat, row_number() OVER (PARTITION BY part, l_linenumber ORDER BY idx) AS n, min(idx) OVER (PARTITION BY part, l_linenumber) AS since, idx FROM li WHERE o_orderkey % 100 <> 0),
+r AS (SELECT *, dense_rank() OVER (PARTITION BY part ORDER BY since) AS place, p_size % 5 + 1 AS capacity FROM c JOIN part ON p_partkey = part)
+SELECT CAST(part AS VARCHAR) AS flight, count(*) FILTER (WHERE n = 1 AND place <= capacity) AS taken, count(*) FILTER (WHERE n > 1 AND place <= capacity) AS conflicts, count(*) FILTER (WHERE place > capacity) AS "full" FROM r GROUP BY part""")
 def whatif_seats(spark, sf):
-    """Reservations of (flight = part, seat = line number): the first order that asks for a seat gets it, later ones are refused. Every hundredth
-    order removed; capacity is not exhausted, since seats number at most seven."""
+    """Reservations of (flight = part, seat = line number): the first order that asks for a seat gets it while the flight has seats left (1 to 5, of seven
+    seat numbers), later ones are refused. Every hundredth order removed."""
     calls = _ratings(spark, sf)
     args = F.create_map(F.lit("flight"), F.col("part"), F.lit("seat"), F.col("l_linenumber").cast("long"), F.lit("customer"), F.col("cust"))
-    rows = calls.select(F.col("commit_idx").alias("idx"), F.col("part").alias("comp"), F.when(F.col("part").isNotNull(), "reserve").alias("fn"), args.alias("args"))
-    flights = rows.select("comp").distinct().select("comp", F.lit("flight").alias("tbl"), F.col("comp").cast("string").alias("row_key"), F.lit("capacity").alias("col"), F.lit(1000).cast("long").alias("val"))
-    body = R.Body({"reserve": W.reserve}, _procedures(W.reserve))
-    replay = lambda c: R.in_order(c, flights, body)
-    out = P.component_whatif(rows, calls.where("o_orderkey % 100 = 0").select(F.col("commit_idx").alias("idx")), replay(rows), replay)
+    rows = calls.select(F.col("commit_idx").alias("idx"), F.col("part").alias("comp"), F.lit("reserve").alias("fn"), args.alias("args"))
+    seats = table(spark, sf, "part").select(F.col("p_partkey").cast("long").alias("comp"), (F.col("p_size") % 5 + 1).cast("long").alias("val"))
+    flights = rows.select("comp").distinct().join(seats, "comp").select("comp", F.lit("flight").alias("tbl"), F.col("comp").cast("string").alias("row_key"), F.lit("capacity").alias("col"), "val")
+    replay = R.replayer(R.Body({"reserve": W.reserve}, _procedures(W.reserve)))
+    out = P.component_whatif(rows, calls.where("o_orderkey % 100 = 0").select(F.col("commit_idx").alias("idx")), checkpointed(replay(rows, flights)), replay, initial=flights)
     state = V.as_of(out.where("tbl = 'flight'"))
     cell = lambda c: F.coalesce(F.max(F.when(F.col("col") == c, F.col("val"))), F.lit(0)).alias(c)
-    return state.groupBy(F.col("row_key").alias("flight")).agg(cell("taken"), cell("conflicts"))
+    return state.groupBy(F.col("row_key").alias("flight")).agg(cell("taken"), cell("conflicts"), cell("full"))
 
 
 def _seat_world(spark, sf):
@@ -559,9 +581,8 @@ def whatif_seats_full(spark, sf):
     """The whole seats workload: return flag R cancels, A changes and N reserves (flight = part, seat = line number) by ship date, with p_size seats in a
     flight. Every hundredth order removed. No oracle: guards on state make it a replay; a test holds it against an exhaustive one."""
     rows, targets, base = _seat_world(spark, sf)
-    body = R.Body(SEATS, _procedures(*SEATS.values()))
-    replay = lambda c: R.in_order(c, base, body)
-    state = V.as_of(P.component_whatif(rows, targets, replay(rows), replay).where("tbl = 'flight'"))
+    replay = R.replayer(R.Body(SEATS, _procedures(*SEATS.values())))
+    state = V.as_of(P.component_whatif(rows, targets, checkpointed(replay(rows, base)), replay, initial=base).where("tbl = 'flight'"))
     cell = lambda c: F.coalesce(F.max(F.when(F.col("col") == c, F.col("val"))), F.lit(0)).alias(c)
     return state.groupBy(F.col("row_key").alias("flight")).agg(cell("taken"), cell("conflicts"), cell("full"), cell("missed"))
 
@@ -610,10 +631,29 @@ def rtt_counts(spark, sf):
     return round_trips(_wallet(spark, sf).select("fn"), R.call_counts(None, WALLET))
 
 
-@query(f"WITH {EV} SELECT CAST(round(avg(octet_length(encode(event_type || ' ' || user_id || ' ' || cents))) * 1000) AS BIGINT) AS milli_bytes FROM ev")
+#: Elements of the account templates but for the row's key: template, mode, table, column.
+_ACCOUNT_ELEMENTS = {
+    "purchase": "R_S.accounts Raccounts.balance Raccounts.user_id Raccounts.__row Waccounts.user_id Waccounts.balance Waccounts.location Waccounts.status Waccounts.__row",
+    "click": "R_S.accounts Raccounts.user_id Raccounts.__row Waccounts.user_id Waccounts.balance Waccounts.location Waccounts.status Waccounts.__row",
+    "error": "R_S.accounts Raccounts.user_id Raccounts.__row Waccounts.user_id Waccounts.balance Waccounts.location Waccounts.status Waccounts.__row",
+    "signup": "R_S.accounts Raccounts.user_id Raccounts.__row Waccounts.user_id Waccounts.balance Waccounts.location Waccounts.status Waccounts.__row",
+    "view": "R_S.accounts Raccounts.balance Raccounts.user_id Raccounts.__row",
+}
+_ACCOUNT_VALUES = ", ".join(f"('{t}', '{e}')" for t, es in _ACCOUNT_ELEMENTS.items() for e in es.split())
+
+
+@query(f"""WITH {EV}, d AS (SELECT idx, sum(length(e) + 1 + CASE WHEN e LIKE 'R_S%' AND substr(e, 3, 1) = 'S' THEN 0 ELSE length(CAST(user_id AS VARCHAR)) END) AS n FROM ev JOIN (VALUES {_ACCOUNT_VALUES}) v(t, e) ON t = event_type GROUP BY idx)
+SELECT CAST(round((SELECT avg(length(event_type) + length(CAST(user_id AS VARCHAR)) + length(CAST(cents AS VARCHAR)) + 2) FROM ev) * 1000) AS BIGINT) AS statement_milli_bytes, CAST(round((SELECT avg(n) FROM d) * 1000) AS BIGINT) AS dependency_milli_bytes""")
 def log_bytes(spark, sf):
-    e = W.event_calls(spark, sf)
-    return e.agg(F.round(F.avg(F.octet_length(F.concat_ws(" ", "event_type", "user_id", "cents"))) * 1000).cast("long").alias("milli_bytes"))
+    """Bytes of a statement's entry in the statement log (template and arguments) and in the dependency log (its elements), on average."""
+    from retro.measures import log_bytes as measure
+
+    calls = W.event_calls(spark, sf)
+    log = calls.withColumn("entry", F.concat_ws(" ", "event_type", "user_id", "cents"))
+    rows = elements(W.as_history(calls, "event_type", ["user_id", "cents"]), {k: parse(v) for k, v in W.ACCOUNT_TEMPLATES.items()}, W.account_catalog())
+    rows = rows.withColumn("entry", F.concat(F.concat("mode", "tbl", F.lit("."), "col"), F.lit(" "), F.coalesce(F.element_at("key", 1), F.lit(""))))
+    milli = lambda c: F.round(F.col(c) * 1000).cast("long").alias(c.replace("bytes", "milli_bytes"))
+    return measure(log, rows, "entry", "entry").select(milli("statement_bytes"), milli("dependency_bytes"))
 
 
 @query(f"""WITH {SHOP}, a AS ({_CELL_SHOP.replace('WITH ' + SHOP + ', t AS', 'SELECT * FROM (WITH t AS') + ')'}), n AS (SELECT count(*) AS n FROM shop), t AS (SELECT idx FROM shop WHERE fn = 'address' AND cust = ({ADDRESS}))
@@ -651,13 +691,15 @@ def table_hash_orders(spark, sf):
     return H.table_hash(o, "o_orderkey", "o_custkey", "o_orderstatus", "total").select("n_rows", "hash")
 
 
-@query(_hash_sql("SELECT vec_id || '|' || CASE WHEN vec_id % 10 = 0 THEN (label + 1) % 10 ELSE label END AS txt FROM embeddings WHERE vec_id % 25 <> 0"))
+@query(_hash_sql("SELECT vec_id || '|' || array_to_string(list_transform(embedding, lambda x: CAST(round(CAST(x AS DOUBLE) * 1000000) AS BIGINT)), ',') || '|' || CASE WHEN vec_id % 10 = 0 THEN (label + 1) % 10 ELSE label END AS txt FROM embeddings WHERE vec_id % 25 <> 0"))
 def vector_hash(spark, sf):
-    """Table hash after inserts, relabelling and deletion, from the deltas of the statements alone."""
+    """Table hash after inserts, relabelling and deletion, summed from what each statement adds and takes away; the array is part of the row."""
     calls = W.vector_calls(spark, sf)
-    now = calls.where("fn <> 'delete'").groupBy("vec_id").agg(F.max_by("label", "commit_idx").alias("label"))
-    left = now.join(calls.where("fn = 'delete'").select("vec_id"), "vec_id", "left_anti")
-    return H.table_hash(left, "vec_id", "label").select("n_rows", "hash")
+    rows = table(spark, sf, "embeddings").select("vec_id", F.array_join(F.transform("embedding", lambda x: F.round(x.cast("double") * 1_000_000).cast("long").cast("string")), ",").alias("vector"))
+    earlier = F.lag("label").over(Window.partitionBy("vec_id").orderBy("commit_idx"))
+    steps = calls.withColumn("was", earlier).join(rows, "vec_id")
+    change = steps.where("fn <> 'delete'").select(F.lit(1).alias("sign"), "vec_id", "vector", "label").unionByName(steps.where("was is not null").select(F.lit(-1).alias("sign"), "vec_id", "vector", F.col("was").alias("label")))
+    return H.table_hash(change, "vec_id", "vector", "label", sign="sign").select("n_rows", "hash")
 
 
 @query(f"WITH {EV}, l AS (SELECT user_id, {_BAND} AS lv, idx FROM ev WHERE event_type <> 'view'), s AS ({_hash_sql('SELECT user_id || chr(124) || chr(108)||chr(101)||chr(118)||chr(101)||chr(108) || chr(124) || arg_max(lv, idx) AS txt FROM l GROUP BY user_id')}) SELECT (SELECT max(idx) FROM l) AS idx, hash FROM s")
@@ -733,7 +775,7 @@ def scenario_branches(spark, sf):
     _, effects, _ = _balance(spark, sf)
     base = checkpointed(V.fold_state(effects))
     first = P.fold_whatif(effects, effects.where("idx % 100 <> 0"), effects.where("idx % 100 = 0"), base)
-    store = P.Scenarios(spark, tempfile.mkdtemp(prefix="scenarios-", dir=None) if shared_dir(spark).startswith("/tmp") else f"{shared_dir(spark)}/scenarios-{spark.sparkContext.applicationId}-{id(effects)}")
+    store = P.Scenarios(spark, own_folder(spark, "scenarios"))
     store.branch("drop-100", None, 100, V.difference(base, first))
     left = effects.where("idx % 100 <> 0")
     one = store.state("drop-100", base)
@@ -761,7 +803,7 @@ def _event_stream(spark, sf):
 
 @query("SELECT epoch_us(date_trunc('day', ts)) AS start_us, event_type AS kind, count(*) AS n FROM events GROUP BY 1, 2")
 def stream_log_windows(spark, sf):
-    folder = tempfile.mkdtemp(prefix="stream-") if shared_dir(spark).startswith(tempfile.gettempdir()) else f"{shared_dir(spark)}/stream-windows-{id(object())}"
+    folder = own_folder(spark, "stream-windows")
     rates = S.rates(_event_stream(spark, sf).withColumnRenamed("event_type", "kind"))
     S.to_parquet(rates, f"{folder}/out", f"{folder}/state", "complete")
     return spark.read.parquet(f"{folder}/out").select(F.unix_micros("start").alias("start_us"), "kind", "n")
@@ -770,7 +812,7 @@ def stream_log_windows(spark, sf):
 @query("SELECT CAST(user_id AS VARCHAR) AS row_key, max(event_id) AS idx FROM events WHERE event_type = 'click' GROUP BY user_id")
 def stream_alias_state(spark, sf):
     """Last writers of a streamed log, one idempotent folder for each micro-batch."""
-    folder = tempfile.mkdtemp(prefix="stream-") if shared_dir(spark).startswith(tempfile.gettempdir()) else f"{shared_dir(spark)}/stream-writers-{id(object())}"
+    folder = own_folder(spark, "stream-writers")
     effects = _event_stream(spark, sf).where("event_type = 'click'").select(F.col("event_id").alias("idx"), F.lit("accounts").alias("tbl"), F.col("user_id").cast("string").alias("row_key"), F.lit("location").alias("col"), W.cents("value").alias("val"))
     S.last_writers(spark, effects, f"{folder}/out", f"{folder}/state")
     return spark.read.parquet(f"{folder}/out").groupBy("row_key").agg(F.max("idx").alias("idx"))
