@@ -10,6 +10,7 @@ expressions. Lists of arguments stay loops.
 
 from __future__ import annotations
 
+import dis
 import inspect
 import itertools
 import time
@@ -588,6 +589,37 @@ def check_equiv(fn: Callable, p: Procedure, inputs: list[tuple[dict, dict]], nat
     return True
 
 
+def linked(client: Callable, server: Callable) -> Callable:
+    """A client function and the server function that its request calls, as one function to explore. The client takes the page's inputs and gives
+    the request's arguments, or None when it sends nothing, so its own checks become branches before the server's."""
+
+    def both(db, *inputs):
+        request = client(*inputs)
+        if request is not None:
+            server(db, *request)
+
+    both.__name__ = f"{client.__name__}_{server.__name__}"
+    names = list(inspect.signature(client).parameters)
+    both.__signature__ = inspect.Signature([inspect.Parameter(n, inspect.Parameter.POSITIONAL_OR_KEYWORD) for n in ("db", *names)])
+    return both
+
+
+def checked(fn: Callable) -> list[str]:
+    """What an application function does that exploration cannot follow: state outside the database, or calls that leave it unseen."""
+    found, code = [], fn.__code__
+    if any(i.opname in ("STORE_GLOBAL", "DELETE_GLOBAL") for i in dis.get_instructions(code)):
+        found.append("writes a global variable")
+    if any(i.opname == "STORE_DEREF" and i.argval in code.co_freevars for i in dis.get_instructions(code)):
+        found.append("writes a variable of an enclosing function")
+    outside = {"open", "exec", "eval", "input", "print"} & set(code.co_names)
+    found += [f"calls {name}, which is no database call" for name in sorted(outside)]
+    if code.co_flags & (inspect.CO_GENERATOR | inspect.CO_COROUTINE):
+        found.append("is a generator or coroutine")
+    if next(iter(inspect.signature(fn).parameters), "") != "db":
+        found.append("does not take the database handle `db` first")
+    return found
+
+
 def delta_explore(fn: Callable, p: Procedure, witness: dict, lists: dict | None = None) -> Procedure:
     """Adds the path that a signal stood for, from the values that reached it."""
     return explore(fn, witness, lists, into=p)

@@ -12,6 +12,7 @@ from dataclasses import dataclass, field
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import Window
 
 from retro.operators import versions as V
 from retro.operators.hashing import literal_match, unchanged
@@ -178,8 +179,24 @@ def with_rules(calls: DataFrame, rules: DataFrame, on: list[str]) -> DataFrame:
     return calls.join(hit, "commit_idx", "left_anti")
 
 
+def with_state_rules(calls: DataFrame, versions: DataFrame, tbl: str, col: str, suppressed: Column, key: str = "row_key") -> DataFrame:
+    """Calls (commit_idx, `key`, ...) that a rule over the state does not suppress. suppressed: a condition on `held`, the value that the call's row has in the
+    column just before the call, or null. The as-of look-up is one window over calls and versions of that column."""
+    past = versions.where((F.col("tbl") == tbl) & (F.col("col") == col)).select(F.col("row_key").alias("_key"), F.col("idx").alias("_at"), F.lit(1).alias("_call"), F.col("val").alias("_val"))
+    now = calls.select(F.col(key).alias("_key"), F.col("commit_idx").alias("_at"), F.lit(0).alias("_call"), F.lit(None).cast(versions.schema["val"].dataType).alias("_val"))
+    order = Window.partitionBy("_key").orderBy("_at", "_call").rowsBetween(Window.unboundedPreceding, -1)
+    found = past.unionByName(now).withColumn("held", F.last("_val", ignorenulls=True).over(order)).where("_call = 0")
+    gone = found.where(F.coalesce(suppressed, F.lit(False))).select(F.col("_at").alias("commit_idx"))
+    return calls.join(gone, "commit_idx", "left_anti")
+
+
 class RuleProvider:
-    """Interface of a source of human-decision rules (a model that proposes which follow-up calls a changed past would have suppressed)."""
+    """A source of human-decision rules: from what a changed past differs in, the calls that would not have been made. This one has a fixed
+    list of rules (condition on a cell that differs, rows of calls to suppress from where on); a model may take its place."""
+
+    def __init__(self, known: list[tuple[Column, DataFrame]] | None = None):
+        self.known = known or []
 
-    def rules(self, diff: DataFrame) -> DataFrame:
-        raise NotImplementedError
+    def rules(self, diff: DataFrame) -> list[DataFrame]:
+        """diff: (tbl, row_key, col, was, now). The rules whose condition holds for some cell that differs."""
+        return [rows for condition, rows in self.known if not diff.where(condition).isEmpty()]
