@@ -18,7 +18,10 @@ from retro.operators import nondeterminism as N
 from retro.operators import replay as R
 from retro.operators import versions as V
 from retro.plans import whatif as P
-from retro.sources.tables import element_rows
+from retro.operators.accesses import accesses
+from retro.operators import values
+from retro.sources.tables import ELEMENT, element_rows
+from retro.workloads import applications as App
 from retro.workloads import histories as W
 
 # ---- random histories: replaying the affected statements alone gives the exhaustive result ------------------------------
@@ -58,14 +61,53 @@ def test_affected_statements_suffice(level):
             rows = [(i, m, t, "*", k) for i, m, t, _, k in rows]
         hit = A.ordered_pass(rows, [(t, c, k, i) for i, m, t, c, k in rows if m == "W" and i == target], {target})
         old = replay(catalog(), log)
-        before, after = ({}, {})
-        for v in old.versions:
-            before.setdefault(v.idx, []).append((v.table, v.key, v.op, v.after))
-        for v in full.versions:
-            after.setdefault(v.idx, []).append((v.table, v.key, v.op, v.after))
-        cell = lambda vs: sorted(map(repr, vs or []))
-        changed = {i for i in range(1, 13) if i != target and cell([(t, k, o) for t, k, o, _ in before.get(i, [])]) != cell([(t, k, o) for t, k, o, _ in after.get(i, [])])}
-        assert changed <= hit, (log, target, changed, hit)
+        changed = written(old, log) ^ written(full, log)
+        assert {w[0] for w in changed} - {target} <= hit, (log, target, changed, hit)
+
+
+def written(db, log):
+    """What statements wrote: (idx, table, key, operation, columns with their values). An UPDATE writes the columns that it sets, or the whole row when it moves it."""
+    sets = {i: {c for c, _ in getattr(s, "sets", ())} for i, s, _ in log}
+    return {(v.idx, v.table, v.key, v.op, repr(sorted((c, x) for c, x in (v.after or {}).items() if v.op != "U" or "k" in sets[v.idx] or c in sets[v.idx]))) for v in db.versions}
+
+
+@pytest.mark.parametrize("change", ["add", "change"])
+def test_affected_statements_suffice_for_added_and_changed_ones(change):
+    rng = random.Random(12)
+    for _ in range(300):
+        log = [(i, statement(rng), {}) for i in range(1, 13)]
+        at, other = rng.randint(1, 12), statement(rng)
+        edited = [(i, s, a) for i, s, a in log if change == "add" or i != at]
+        edited = sorted([*edited, (at - 0.5 if change == "add" else at, other, {})], key=lambda x: x[0])
+        rows = element_rows(log, catalog())
+        more = [(t, c, k, edited_at) for edited_at, m, t, c, k in element_rows([x for x in edited if x[1] is other], catalog()) if m == "W"]
+        seed = more + [(t, c, k, i) for i, m, t, c, k in rows if m == "W" and i == at and change == "change"]
+        gone = {at} if change == "change" else set()
+        hit = A.ordered_pass(rows, seed, gone)
+        changed = {w[0] for w in written(replay(catalog(), log), log) ^ written(replay(catalog(), edited), edited)}
+        assert changed - {at - 0.5} - gone <= hit, (log, edited, changed, hit)
+
+
+def test_fixpoint_on_dataframes_is_the_ordered_pass(spark):
+    rng = random.Random(21)
+    two = Catalog().add(Table("c", ("k", "m", "x"), ("k", "m")), Table("a", ("k", "x", "y"), ("k",)), Table("b", ("k", "x"), ("k",)))
+    forms = ["UPDATE c SET x = x + 1 WHERE k = {k} AND m = {m}", "UPDATE c SET x = 1 WHERE k = {k}", "UPDATE c SET x = 2 WHERE m = {m}", "SELECT x FROM c WHERE k = {k} AND m = {m}", "UPDATE a SET x = (SELECT COUNT(*) FROM c) WHERE k = {k}"]
+    for _ in range(4):
+        log = [(i, parse(rng.choice(forms).format(k=rng.randint(1, 3), m=rng.randint(1, 3))) if rng.random() < 0.7 else statement(rng), {}) for i in range(1, 25)]
+        target = rng.randint(1, 8)
+        rows = element_rows(log, two)
+        seed = [(t, c, k, i) for i, m, t, c, k in rows if m == "W" and i == target]
+        want = A.ordered_pass(rows, seed, {target})
+        df = spark.createDataFrame(rows, ELEMENT)
+        only = spark.createDataFrame([(target,)], "idx long")
+        assert {r.idx for r in A.affected(df, A.seeds(df, only), "cell", only).collect()} == want
+
+
+def test_recursive_procedures_and_triggers_end():
+    c = catalog()
+    c.procedures["p"] = parse("CREATE PROCEDURE p(k, n) BEGIN UPDATE a SET x = :n WHERE k = :k; IF :n > 0 THEN CALL p(:n, :k); END IF; END")
+    rows = accesses(parse("CALL p(1, 2)"), c)
+    assert any(a.mode == "W" and a.table == "a" and a.keys == () for a in rows)  # with which keys it calls itself is not known
 
 
 # ---- transpiler --------------------------------------------------------------------------------------------------------
@@ -98,6 +140,46 @@ def test_loops_stay_loops_and_scripts_parse():
     assert script.name == "spend" and s.tree.paths() == 2
 
 
+def test_branches_inside_loops_and_dynamic_targets():
+    p = X.explore(App.new_order, lists={"lines": ["n", "part", "qty"]})
+    rng = random.Random(7)
+    inputs = []
+    for _ in range(200):
+        lines = [{"n": k, "part": rng.randint(0, 2), "qty": rng.randint(1, 9)} for k in range(rng.randint(0, 4))]
+        inputs.append(({"cust": 1, "oid": 5, "total": 3, "lines": lines}, {("stock", (k,), "quantity"): rng.randint(0, 30) for k in range(3)}))
+    assert p.tree.signals() == 0 and p.tree.paths() == 2 and X.check_equiv(App.new_order, p, inputs)
+    assert X.check_equiv(App.new_order, X.Procedure(p.name, p.params, X.slice_db_effects(p.tree)), inputs)
+    with pytest.raises(ValueError):
+        X.to_sql_script(p, {t: ("k",) for t in ("orders", "customer", "line", "stock")})
+
+    def chosen(db, kind, user, cents):
+        db.call(kind, {"deposit": W.deposit, "spend": W.spend}, user, cents)
+
+    p = X.explore(chosen, {"kind": "deposit"})
+    assert p.tree.signals() == 1 and X.check_equiv(chosen, p, [({"kind": k, "user": 1, "cents": 4}, {("wallet", (1,), "balance"): 7}) for k in ("deposit", "spend")])
+    with pytest.raises(X.Signalled):
+        X.to_python(p)(X.Cells(), {"kind": "other", "user": 1, "cents": 4})
+
+
+def test_client_functions_are_explored_with_their_server():
+    page = '<form><input name="user"><select name="item"></select><input name="amount"><input name="user"></form>'
+    assert App.form_fields(page) == ["user", "item", "amount"]
+    both = X.linked(App.add_clicked, App.cart_add)
+    p = X.explore(both)
+    assert p.params == ("user", "item", "amount") and p.tree.signals() == 0
+    assert X.check_equiv(both, p, [({"user": 1, "item": i, "amount": a}, {}) for i in (-1, 0, 3) for a in (0, 2)])
+
+
+def test_what_exploration_cannot_follow_is_named():
+    assert all(X.checked(f) == [] for f in (*W.APPLICATION, *App.APPLICATION))
+
+    def bad(x):
+        global _seen
+        _seen = open(x)
+
+    assert len(X.checked(bad)) == 3
+
+
 def test_unsolved_branch_signals_and_delta_exploration_adds_it():
     def odd(db, a, b):
         if a > 5:
@@ -214,6 +296,100 @@ def test_waves_and_components_replay_like_a_serial_run(spark):
     assert R.choose_strategy(True, 9) == "fold" and R.choose_strategy(False, 9) == "components" and R.choose_strategy(False, 10**9) == "waves"
 
 
+def test_typed_values_replay_and_come_back(spark):
+    import datetime
+    from decimal import Decimal
+
+    at = datetime.datetime(2020, 1, 2, 3, 4, 5, 6, tzinfo=datetime.UTC)
+    for v in (None, 5, -7, True, False, Decimal("1.50"), 2.5, "a|b", "", "7", at, [{"part": 1, "qty": 2}]):
+        assert values.decode(values.encode(v)) == v and type(values.decode(values.encode(v))) is type(v)
+    for key in ((1, "x"), ("7", "a|b"), ("'q", "\\p"), (-3,)):
+        assert R.key_of(R.key_text(key)) == key
+    rows = spark.createDataFrame([(3, "n", True, Decimal("2.25"), at, [(1, 2)])], "k long, s string, b boolean, d decimal(10,2), t timestamp, j array<struct<part:long,qty:long>>")
+    got = rows.select(values.arguments(rows, "k", "s", "b", "d", "t", "j").alias("m")).first().m
+    assert {k: values.decode(v) for k, v in got.items()} == {"k": 3, "s": "n", "b": True, "d": Decimal("2.25"), "t": at, "j": [{"part": 1, "qty": 2}]}
+
+    def note(db, k, s, at, ok):
+        if not db.read("t", k, "done"):
+            db.write("t", k, "text", s)
+            db.write("t", k, "at", at)
+            db.write("t", k, "done", ok)
+            db.write("t", k, "drawn", db.native("draw"))
+
+    calls = [(1, 1, "x", False), (2, 1, "y", True), (3, 1, "z", True), (4, 2, "7", True)]
+    args = [(i, k, "note", {n: values.encode(v) for n, v in (("k", k), ("s", s), ("at", at), ("ok", ok))}, {"draw": values.encode(i * 10)}) for i, k, s, ok in calls]
+    df = spark.createDataFrame(args, "idx long, comp long, fn string, args map<string,string>, recorded map<string,string>")
+    for body in (R.Body({"note": note}, None), R.Body({"note": note}, {"note": X.explore(note)})):
+        state = {(r.row_key, r.col): values.decode(r.val) for r in V.as_of(R.in_order(df, None, body)).collect()}
+        assert state == {("1", "text"): "y", ("1", "at"): at, ("1", "done"): True, ("1", "drawn"): 20, ("2", "text"): "7", ("2", "at"): at, ("2", "done"): True, ("2", "drawn"): 40}
+
+
+def _random_calls(rng, n=60, users=4):
+    return [(i, rng.randrange(users), rng.choice(["deposit", "spend", "forward", "unforward", "reset"]), rng.randint(1, 30), rng.randint(0, 1)) for i in range(1, n + 1)]
+
+
+def application():
+    """Functions by name; made here, so that they travel to workers by value."""
+
+    def reset(db, user_id):
+        db.write("wallet", user_id, "balance", 20)
+        db.write("wallet", user_id, "rejected", 0)
+
+    return {"deposit": W.deposit, "spend": W.spend, "forward": W.forward, "unforward": W.unforward, "reset": reset}
+
+
+def _call_frame(spark, calls):
+    need = {"deposit": ("user_id", "cents"), "spend": ("user_id", "cents"), "forward": ("user_id", "slot", "cents"), "unforward": ("user_id", "slot"), "reset": ("user_id",)}
+    rows = [(i, u, f, {k: {"user_id": u, "cents": c, "slot": s}[k] for k in need[f]}) for i, u, f, c, s in calls]
+    return spark.createDataFrame(rows, "idx long, comp long, fn string, args map<string,long>")
+
+
+def _direct(calls):
+    db = X.Cells()
+    for _, u, f, c, s in calls:
+        {"deposit": lambda: W.deposit(db, u, c), "spend": lambda: W.spend(db, u, c), "forward": lambda: W.forward(db, u, s, c), "unforward": lambda: W.unforward(db, u, s), "reset": lambda: application()["reset"](db, u)}[f]()
+    return {(t, R.key_text(k), c): v for (t, k, c), v in db.values.items() if c}
+
+
+@pytest.mark.parametrize("early_stop", [False, True])
+def test_component_whatif_equals_exhaustive_replay(spark, early_stop):
+    rng, body = random.Random(31), R.Body(application(), {k: X.explore(f) for k, f in application().items()})
+    for _ in range(4):
+        calls = _random_calls(rng)
+        df = _call_frame(spark, calls).cache()
+        gone = set(rng.sample(range(1, 61), 3))
+        logged = R.in_order(df, None, body).cache()
+        replay = R.replayer(body, literal=True)
+        out = P.component_whatif(df, spark.createDataFrame([(g,) for g in gone], "idx long"), logged, replay, early_stop=early_stop)
+        assert cells(V.as_of(out)) == _direct([c for c in calls if c[0] not in gone])
+
+
+def test_early_stop_reuses_the_tail_and_short_hashes_need_the_literal_check(spark):
+    calls = [(1, 0, "deposit", 5, 0), (2, 0, "reset", 0, 0), *((i, 0, "deposit", 1, 0) for i in range(3, 40))]
+    df, body = _call_frame(spark, calls), R.Body(application(), {k: X.explore(f) for k, f in application().items()})
+    logged = R.in_order(df, None, body).cache()
+    base = logged.where("idx < 1").select("comp", *V.CELL, "val")
+    left = df.where("idx > 1")
+    made = R.in_order(left, base, body, logged=logged.withColumn("last", F.lit(1).cast("long"))).collect()
+    assert {r.idx for r in made} == {2} and [r.idx for r in made if r.tbl == R.STOPPED] == [2]
+    # no match: the deposit's effect stays, so nothing may stop; a hash of one bit stops all the same, unless states are compared
+    df = _call_frame(spark, [c for c in calls if c[2] == "deposit"])
+    logged = R.in_order(df, None, body).cache().withColumn("last", F.lit(1).cast("long"))
+    stops = lambda **o: [r.idx for r in R.in_order(df.where("idx > 1"), None, body, logged=logged, **o).collect() if r.tbl == R.STOPPED]
+    assert stops() == [] and stops(bits=1) and stops(bits=1, literal=True) == []
+
+
+def test_bucketed_whatif_stops_at_a_match(spark):
+    rng, body = random.Random(5), R.Body(application(), {k: X.explore(f) for k, f in application().items()})
+    calls = [(i, 0, "deposit", rng.randint(1, 9), 0) for i in range(1, 20)] + [(20, 0, "reset", 0, 0)] + [(i, 0, "deposit", rng.randint(1, 9), 0) for i in range(21, 61)]
+    df = _call_frame(spark, calls)
+    logged = R.in_order(df, None, body).cache()
+    out, stop = P.bucketed_whatif(df, spark.createDataFrame([(3,)], "idx long"), logged, R.replayer(body), [11, 21, 31, 41, 51], literal=True)
+    assert stop == 21 and cells(V.as_of(out)) == _direct([c for c in calls if c[0] != 3])
+    out, stop = P.bucketed_whatif(df, spark.createDataFrame([(33,)], "idx long"), logged, R.replayer(body), [11, 21, 31, 41, 51])
+    assert stop is None and cells(V.as_of(out)) == _direct([c for c in calls if c[0] != 33])
+
+
 # ---- hashes --------------------------------------------------------------------------------------------------------------
 
 
