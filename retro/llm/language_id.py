@@ -23,7 +23,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from retro.llm import vector_text as vt
-from retro.llm.runtime import filtered, id_and_text
+from retro.llm.runtime import filtered, id_and_text, lean
 
 #: The part of a language's learning texts that sets its limit and has centroids.
 QUANTILE = 0.995
@@ -81,7 +81,7 @@ class LanguageId:
                     part = batch.slice(first, last - first)
                     yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("lang"), pa.array([r.tobytes() for r in x], pa.binary())], ["doc_id", "lang", "x"])
 
-        rows = drawn.select("doc_id", "text", "lang").mapInArrow(features, "doc_id long, lang string, x binary").toArrow()
+        rows = drawn.select("doc_id", "text", "lang").mapInArrow(lean(features), "doc_id long, lang string, x binary").toArrow()
         order = np.argsort(vt.mix64(rows.column("doc_id").to_numpy().astype(np.uint64)), kind="stable")
         langs = np.array(rows.column("lang").to_pylist(), dtype=object)
         x = np.stack([np.frombuffer(b, np.float16) for b in rows.column("x").to_pylist()]).astype(np.float32) if len(order) else np.zeros((0, self.dimensions), np.float32)
@@ -147,7 +147,7 @@ class LanguageId:
                     pred = [own.names[k] if o else "und" for k, o in zip(lang.tolist(), ok.tolist(), strict=True)]
                     yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(first, last - first), pa.array(pred, pa.string()), pa.array(np.where(ok, score, 0.0)), pa.array(far | ~ok)], ["doc_id", "lang_pred", "score", "rejected"])
 
-        return id_and_text(docs).mapInArrow(run, OUT)
+        return id_and_text(docs).mapInArrow(lean(run), OUT)
 
     def accepted(self, docs: DataFrame) -> DataFrame:
         """The rows of docs, with all columns, that are not rejected."""

@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window
 
 from retro.llm.bpe import Bpe, ByteBpe, loaded, runs
-from retro.llm.runtime import checkpointed, id_and_text
+from retro.llm.runtime import checkpointed, id_and_text, lean
 
 
 @dataclass(frozen=True)
@@ -112,7 +112,7 @@ class VectorBestFit:
                     cols = [pa.array([r[k] for r in rows], t) for k, t in enumerate((pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64()))]
                     yield pa.RecordBatch.from_arrays([*cols, pa.array(np.full(len(rows), part, np.int32)), pa.array(rank)], ["doc_id", "piece", "start", "length", "ids_crc32", "part", "rank"])
 
-        return id_and_text(docs).mapInArrow(run, "doc_id long, piece int, start long, length long, ids_crc32 long, part int, rank long")
+        return id_and_text(docs).mapInArrow(lean(run), "doc_id long, piece int, start long, length long, ids_crc32 long, part int, rank long")
 
     def place(self, pieces: DataFrame) -> DataFrame:
         """pieces (as from pieces(), stable on every read) with sequence_id and offset."""
@@ -135,7 +135,7 @@ class VectorBestFit:
                     keep = ["doc_id", "piece", "start", "length", "ids_crc32"]
                     yield pa.RecordBatch.from_arrays([*(batch.column(k) for k in keep), pa.array(t[at, 3] + bin_), pa.array(t[at, 5] + slot * length)], [*keep, "sequence_id", "offset"])
 
-        return ranked.mapInArrow(run, "doc_id long, piece int, start long, length long, ids_crc32 long, sequence_id long, offset long")
+        return ranked.mapInArrow(lean(run), "doc_id long, piece int, start long, length long, ids_crc32 long, sequence_id long, offset long")
 
     def pack(self, docs: DataFrame, tokenizer: str, end_id: int, kind: type[Bpe] = ByteBpe) -> DataFrame:
         """(doc_id, piece, start, length, ids_crc32, sequence_id, offset) for every piece of every document."""

@@ -19,7 +19,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from retro.llm import vector_text as vt
-from retro.llm.runtime import checkpointed, id_and_text
+from retro.llm.runtime import checkpointed, id_and_text, lean
 
 _KIND = np.zeros((256, 8), dtype=np.float32)  # letter, upper, digit, space, newline, sentence mark, bracket or table mark, other symbol
 for _b in range(256):
@@ -96,7 +96,7 @@ class Quality:
                     flat = pa.FixedSizeListArray.from_arrays(pa.array(x.ravel()), FEATURES).cast(pa.list_(pa.float32()))
                     yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(first, last - first), flat], ["doc_id", "x"])
 
-        return id_and_text(docs).mapInArrow(run, "doc_id long, x array<float>")
+        return id_and_text(docs).mapInArrow(lean(run), "doc_id long, x array<float>")
 
     def fit(self, statistics: DataFrame, labels: DataFrame, learn: Column) -> Quality:
         """statistics: what statistics() gives; labels: doc_id, label (0 or 1); learn: a condition on doc_id."""
@@ -113,7 +113,7 @@ class Quality:
                         total[c] += own.T @ own
             yield pa.RecordBatch.from_arrays([pa.array(np.repeat([0, 1], width * width)), pa.array(np.tile(np.arange(width * width), 2)), pa.array(total.ravel())], ["label", "k", "v"])
 
-        sums = statistics.join(known, "doc_id").select("x", "label").mapInArrow(moments, "label long, k long, v double").groupBy("label", "k").agg(F.sum("v").alias("v")).collect()
+        sums = statistics.join(known, "doc_id").select("x", "label").mapInArrow(lean(moments), "label long, k long, v double").groupBy("label", "k").agg(F.sum("v").alias("v")).collect()
         m = np.zeros((2, width, width))
         for r in sums:
             m[r.label].flat[r.k] = r.v
@@ -129,8 +129,8 @@ class Quality:
         factor, logdet = [], []
         for c in (0, 1):
             # few rows of a class lean more on the pooled covariance
-            lean = max(self.to_pooled, min(1.0, FEATURES / n[c]))
-            s = (1 - lean) * cov[c] + lean * pooled
+            share = max(self.to_pooled, min(1.0, FEATURES / n[c]))
+            s = (1 - share) * cov[c] + share * pooled
             s = (1 - self.to_diagonal) * s + self.to_diagonal * np.diag(np.diag(s)) + 1e-4 * np.eye(FEATURES)
             low = np.linalg.cholesky(s)
             factor.append(np.linalg.inv(low))
@@ -155,7 +155,7 @@ class Quality:
                     score = own.score_rows(batch.column("x").flatten().to_numpy().reshape(batch.num_rows, -1).astype(float))
                     yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(score), pa.array((score >= own.threshold).astype(np.int32))], ["doc_id", "score", "predicted"])
 
-        return statistics.mapInArrow(run, "doc_id long, score double, predicted int")
+        return statistics.mapInArrow(lean(run), "doc_id long, score double, predicted int")
 
     def fit_predict(self, docs: DataFrame, labels: DataFrame, learn: Column) -> tuple[Quality, DataFrame]:
         """The model and the scores of all rows; texts are read once."""

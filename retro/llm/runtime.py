@@ -2,9 +2,12 @@
 
 from __future__ import annotations
 
+import ctypes
+import functools
 import gc
 import tempfile
-from collections.abc import Iterator
+import time
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -13,9 +16,11 @@ from pyspark.sql import functions as F
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a temporary one only where the session names none (local tests)."""
+    """The folder that driver and executors share. Where the session names none, a temporary one in local mode; a cluster must name one."""
     named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not named:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         named = tempfile.mkdtemp(prefix="retro-checkpoint-")
         spark.sparkContext.setCheckpointDir(named)
     return spark.sparkContext.getCheckpointDir() or named
@@ -36,6 +41,32 @@ def tidy(spark: SparkSession) -> None:
     spark.sparkContext._jvm.System.gc()
 
 
+def lean(run: Callable) -> Callable:
+    """A task's function that gives freed memory back to the system twice a second and at its end: reused workers would keep it, beside those of the next stage."""
+
+    def give_back():
+        pa.default_memory_pool().release_unused()
+        try:
+            ctypes.CDLL(None).malloc_trim(0)
+        except (OSError, AttributeError):  # not glibc
+            pass
+
+    @functools.wraps(run)
+    def kept_small(batches):
+        last = time.monotonic()
+        try:
+            for out in run(batches):
+                yield out
+                del out
+                if time.monotonic() - last > 0.5:
+                    give_back()
+                    last = time.monotonic()
+        finally:
+            give_back()
+
+    return kept_small
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
@@ -148,4 +179,4 @@ def filtered(docs: DataFrame, keep) -> DataFrame:
         for batch in batches:
             yield batch.filter(pa.array(test(batch.column(names.index("text")))))
 
-    return docs.where(F.col("doc_id").isNotNull()).mapInArrow(run, docs.schema)
+    return docs.where(F.col("doc_id").isNotNull()).mapInArrow(lean(run), docs.schema)

@@ -14,7 +14,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from retro.llm.bpe import Bpe, WordBpe, loaded, runs
-from retro.llm.runtime import id_and_text
+from retro.llm.runtime import id_and_text, lean
 
 
 def encoded(docs: DataFrame, tokenizer: str, kind: type[Bpe] = WordBpe) -> DataFrame:
@@ -28,7 +28,7 @@ def encoded(docs: DataFrame, tokenizer: str, kind: type[Bpe] = WordBpe) -> DataF
             for a, b in runs(texts):
                 yield pa.RecordBatch.from_arrays([ids.slice(a, b - a), pa.array(coder.encode(texts[a:b]), pa.binary())], ["doc_id", "ids"])
 
-    return id_and_text(docs).mapInArrow(run, "doc_id long, ids binary")
+    return id_and_text(docs).mapInArrow(lean(run), "doc_id long, ids binary")
 
 
 def decoded(tokens: DataFrame, tokenizer: str, kind: type[Bpe] = WordBpe) -> DataFrame:
@@ -41,7 +41,7 @@ def decoded(tokens: DataFrame, tokenizer: str, kind: type[Bpe] = WordBpe) -> Dat
             text = [coder.decode(np.frombuffer(x, "<u4")) for x in batch.column("ids").to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(text, pa.string())], ["doc_id", "text"])
 
-    return tokens.select("doc_id", "ids").mapInArrow(run, "doc_id long, text string")
+    return tokens.select("doc_id", "ids").mapInArrow(lean(run), "doc_id long, text string")
 
 
 def round_trip_digest(docs: DataFrame, tokenizer: str, kind: type[Bpe] = WordBpe) -> DataFrame:
@@ -57,4 +57,4 @@ def round_trip_digest(docs: DataFrame, tokenizer: str, kind: type[Bpe] = WordBpe
                 back = [hashlib.sha256(coder.decode(np.frombuffer(x, "<u4")).encode()).hexdigest() for x in got]
                 yield pa.RecordBatch.from_arrays([ids.slice(a, b - a), pa.array([len(x) // 4 for x in got], pa.int64()), pa.array([hashlib.sha256(x).hexdigest() for x in got]), pa.array(back, pa.string())], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
 
-    return id_and_text(docs).mapInArrow(run, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
+    return id_and_text(docs).mapInArrow(lean(run), "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")

@@ -21,7 +21,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from retro.llm import vector_text as vt
-from retro.llm.runtime import filtered, id_and_text
+from retro.llm.runtime import filtered, id_and_text, lean
 
 _WORD = np.ones(256, dtype=bool)
 _WORD[:128] = False
@@ -84,7 +84,7 @@ class Toxicity:
                     yield pa.RecordBatch.from_arrays([piece.column("doc_id"), piece.column("label"), pa.array(packed, pa.binary())], ["doc_id", "label", "x"])
 
         # the sample is bounded by per_class, so it may be broadcast
-        rows = id_and_text(docs).join(F.broadcast(drawn), "doc_id").select("doc_id", "text", "label").mapInArrow(features, "doc_id long, label int, x binary").toArrow()
+        rows = id_and_text(docs).join(F.broadcast(drawn), "doc_id").select("doc_id", "text", "label").mapInArrow(lean(features), "doc_id long, label int, x binary").toArrow()
         label = rows.column("label").to_numpy().astype(float)
         order = np.argsort(vt.mix64(rows.column("doc_id").to_numpy().astype(np.uint64)), kind="stable")
         packed = rows.column("x")
@@ -133,7 +133,7 @@ class Toxicity:
                     score = own.score_block(data, offsets, dense)
                     yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(first, last - first), pa.array(score), pa.array((score >= own.threshold).astype(np.int32))], ["doc_id", "score", "predicted"])
 
-        return id_and_text(docs).mapInArrow(run, "doc_id long, score double, predicted int")
+        return id_and_text(docs).mapInArrow(lean(run), "doc_id long, score double, predicted int")
 
     def accepted(self, docs: DataFrame) -> DataFrame:
         """The rows of docs, with all columns, whose text is not predicted to be toxic."""

@@ -6,6 +6,7 @@ import zlib
 
 import numpy as np
 import public_tokenizers
+import pyarrow as pa
 import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
@@ -13,7 +14,7 @@ from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
 from retro.llm.bpe import ByteBpe, WordBpe, runs
-from retro.llm.jaccard_join import JaccardJoin
+from retro.llm.jaccard_join import COARSE, FINE, JaccardJoin, Sketches
 from retro.llm.language_id import LanguageId
 from retro.llm.packing import VectorBestFit
 from retro.llm.quality import Quality
@@ -48,6 +49,12 @@ def coders():
     return out
 
 
+def thue_morse(n):
+    """The 0/1 Thue-Morse word of n letters, in letters a and b, and its complement."""
+    bits = [k.bit_count() % 2 for k in range(n)]
+    return "".join("ab"[b] for b in bits), "".join("ba"[b] for b in bits)
+
+
 def same(coders, texts):
     for coder, library in coders:
         got = [x for a, b in runs(texts, 50) for x in coder.encode(texts[a:b])]
@@ -59,6 +66,18 @@ def test_encoding_equals_the_library(coders):
     same(coders, [t or "" for t in ODD])
 
 
+def test_encoding_of_regular_words_equals_the_library(coders):
+    """Words whose polynomial hashes meet, words of repeated blocks, and pieces that a full memory has forgotten."""
+    texts = [*(w for n in (1024, 2048, 4096, 8192) for w in thue_morse(n)), *("ab" * n + "ba" * n for n in (512, 1024)), *("ba" * n + "ab" * n for n in (512, 1024))]
+    same(coders, texts)
+    for coder, _ in coders:
+        coder.remember = 4
+    same(coders, [*texts, *texts[::-1]])
+    for coder, _ in coders:
+        del coder.remember
+        assert coder.remember == type(coder).remember
+
+
 @settings(max_examples=60, deadline=None)
 @given(st.lists(st.text(alphabet=st.sampled_from(list("ab cd'stlleréñ\n\t!?.,12ΣσB́ 日")), max_size=60), max_size=8))
 def test_encoding_equals_the_library_on_random_texts(coders, texts):
@@ -198,7 +217,7 @@ def near_copies(seed=3):
     return out
 
 
-@pytest.mark.parametrize("options", [{}, {"small": 3, "work": 0, "pivots": 6, "members": 3, "frequent_most": 5}, {"small": 3, "work": 30, "broadcast_rows": 0}])
+@pytest.mark.parametrize("options", [{}, {"work": 0, "pivots": 2, "members": 3}, {"crowd": 3, "work": 30, "broadcast_rows": 0}, {"effort": 1, "entries": 50}])
 def test_jaccard_join_equals_brute_force(spark, options):
     texts = near_copies()
     got = {r.doc_id: (r.n_shingles, r.component_id) for r in JaccardJoin(**options).join(table(spark, texts).repartition(4)).collect()}
@@ -213,7 +232,39 @@ def test_jaccard_join_edges(spark):
     assert sorted(tuple(r) for r in join.join(twice).collect()) == [(0, 3, 0), (0, 3, 0), (1, 3, 0)]
 
 
+def test_jaccard_pivots_and_windows_take_documents():
+    """Pivots take what may link with them; that and what is in the window of a live pivot stays; a spent effort leaves the untaken."""
+    join, base = JaccardJoin(), np.arange(1000, dtype=np.uint64)
+    # near the base; in its window only; unrelated; near the unrelated one
+    sets = [base, base[:950], base[:690], base + np.uint64(10**6), base[:960] + np.uint64(10**6)]
+    held = Sketches()
+    for k, s in enumerate(sets):
+        held.add(np.array([k], np.uint64), np.array([len(s)]), join.sketch(s))
+    held.finished()
+    one = np.zeros(5, np.int64)
+    a, p, stay = join.taken(one, np.arange(5), held)
+    assert set(zip(p.tolist(), a.tolist(), strict=True)) == {(0, 1), (3, 4)} and stay.tolist() == [False, True, True, False, True]
+    _, _, stay = JaccardJoin(effort=5).taken(one, np.arange(5), held)
+    assert stay[3] and stay[4]
+
+
+def test_first_level_names_pivots_on_the_given_tables(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    join = JaccardJoin()
+    classes = join.sizes(docs).where("n_shingles > 0").groupBy("f1", "n_shingles").agg(F.first("sketch").alias("sketch"))
+    got = join.regions(docs, classes, 8)
+    assert got.where("pivot is not null").count() > 0 and got.where("pivot is null").count() > 0
+
+
+def test_words_of_equal_polynomial_hashes_stay_apart(spark):
+    """Thue-Morse words and their complements meet under any polynomial modulo a power of two."""
+    texts = [" ".join((*"wxyz", w)) for n in (1024, 2048, 8192) for w in thue_morse(n)]
+    got = JaccardJoin().join(table(spark, texts)).collect()
+    assert {r.component_id for r in got} == set(range(len(texts)))
+
+
 def test_every_linked_pair_shares_a_region():
+    """In any order by counts, and a region whose befores differ; the sketches' bound never exceeds the difference."""
     rng, join = np.random.default_rng(5), JaccardJoin()
     for _ in range(300):
         n = int(rng.integers(1, 400))
@@ -223,13 +274,24 @@ def test_every_linked_pair_shares_a_region():
         a, b = np.unique(base), np.unique(other)
         if not len(b):
             continue
-        both = len(np.intersect1d(a, b))
-        if join.linked(both, len(a) + len(b) - both):
-            for share in (0.0, 0.5, 0.9, 1.0):
-                either = np.unique(np.concatenate([a, b]))
-                frequent = np.sort(either[rng.random(len(either)) < share])
-                assert len(np.intersect1d(join.signatures(a, frequent), join.signatures(b, frequent)))
-            assert join.least_difference(join.sketch(a), join.sketch(b)) <= len(a) + len(b) - 2 * both
+        shared = np.intersect1d(a, b)
+        if join.linked(len(shared), len(a) + len(b) - len(shared)):
+            # what both hold is shared; so is some of what only one holds, with other documents
+            extra = [np.setdiff1d(x, shared) for x in (a, b)]
+            extra = [x[rng.random(len(x)) < 0.5] for x in extra]
+            own = [np.union1d(shared, x) for x in extra]
+            region, owner = np.concatenate(own), np.repeat([0, 1], [len(x) for x in own])
+            count = np.searchsorted(np.unique(region), region) % 7 + 2
+            keep, before, order = join.prefix(owner, region, count, np.array([len(a), len(b)]), np.array([1, 2], np.uint64))
+            region, owner, before = region[order][keep], owner[order][keep], before[keep]
+            common, i, j = np.intersect1d(region[owner == 0], region[owner == 1], return_indices=True)
+            assert len(common) and (before[owner == 0][i] != before[owner == 1][j]).any()
+            for density in (COARSE, FINE):
+                held = Sketches(density)
+                for k, s in enumerate((a, b)):
+                    held.add(np.array([k], np.uint64), np.array([len(s)]), join.sketch(s, density))
+                held.finished()
+                assert held.least(np.array([0]), np.array([1]))[0] <= len(a) + len(b) - 2 * len(shared)
 
 
 @pytest.mark.parametrize("alone", [0, 1000])
@@ -307,3 +369,85 @@ def test_quality(spark):
     learn = [k for k in x if zlib.crc32(str(k).encode()) % 4 != 2 and k >= 150]
     assert np.allclose(model.mean[0], np.mean([x[k] for k in learn], axis=0))
     assert Quality().fit_predict(docs, labels.limit(0), F.lit(True))[1].where("predicted = 1").count() == 0
+
+
+# ---- classifiers against their plain formulas --------------------------------------------------------------------------
+
+
+def labelled(spark, column):
+    docs = spark.read.parquet(f"{SF}/documents.parquet").select("doc_id", "text", "lang")
+    labels = spark.read.parquet(f"{SF}/labels.parquet").select("doc_id", F.col(column).alias("label"))
+    return docs, labels
+
+
+def test_quadratic_scores_equal_the_plain_formula(spark):
+    docs, labels = labelled(spark, "quality")
+    x = Quality().statistics(docs)
+    model = Quality().fit(x, labels, F.lit(True))
+    rows = {r.doc_id: np.array(r.x, dtype=float) for r in x.collect()}
+    known = {r.doc_id: r.label for r in labels.collect() if r.doc_id in rows}
+    own = [np.stack([rows[k] for k, v in known.items() if v == c]) for c in (0, 1)]
+    cov, n, d = [np.cov(o.T, bias=True) for o in own], [len(o) for o in own], len(next(iter(rows.values())))
+    pooled = (cov[0] * n[0] + cov[1] * n[1]) / sum(n)
+
+    def density(v, c):
+        share = max(0.1, min(1.0, d / n[c]))
+        s = (1 - share) * cov[c] + share * pooled
+        s = 0.95 * s + 0.05 * np.diag(np.diag(s)) + 1e-4 * np.eye(d)
+        gap = v - own[c].mean(axis=0)
+        return -0.5 * (gap @ np.linalg.solve(s, gap) + np.linalg.slogdet(s)[1])
+
+    for r in model.predict(x).collect():
+        odds = np.log(n[1] / n[0]) + density(rows[r.doc_id], 1) - density(rows[r.doc_id], 0)
+        assert abs(r.score - 1 / (1 + np.exp(-np.clip(odds, -30, 30)))) < 1e-4
+
+
+def test_ftrl_weights_equal_the_scalar_algorithm(spark):
+    from retro.llm.toxicity import features_of
+    from retro.llm.vector_text import mix64, utf8_view
+
+    docs, labels = labelled(spark, "toxic")
+    model = Toxicity(bits=12, passes=2, l1=0.5).fit(docs, labels, F.lit(True))
+    known = {r.doc_id: r.label for r in labels.collect()}
+    texts = {r.doc_id: r.text or "" for r in docs.collect() if r.doc_id in known}
+    ids = np.array(sorted(texts))
+    order = ids[np.argsort(mix64(ids.astype(np.uint64)), kind="stable")].tolist()
+    z, n, z0, n0 = {}, {}, 0.0, 0.0
+    many = {v: sum(known[k] == v for k in texts) for v in (0, 1)}
+    total = {v: sum(x == v for x in known.values()) for v in (0, 1)}
+    part = {v: total[v] / sum(total.values()) * len(texts) / many[v] for v in (0, 1)}
+    weight = lambda k: 0.0 if abs(z.get(k, 0.0)) <= 0.5 else -(z[k] - np.sign(z[k]) * 0.5) / (1 + np.sqrt(n[k]) + 0.01)
+    for turn in (0, 1):
+        for doc in order if turn == 0 else order[::-1]:
+            data, offsets = utf8_view(pa.array([texts[doc]]))
+            at = sorted(set(features_of(data, offsets, 12)[1].tolist()))
+            w = {k: weight(k) for k in at}
+            w0 = -z0 / (1 + np.sqrt(n0))
+            g = (1 / (1 + np.exp(-np.clip(w0 + sum(w.values()), -30, 30))) - known[doc]) * part[known[doc]]
+            for k in at:
+                z[k] = z.get(k, 0.0) + g - (np.sqrt(n.get(k, 0.0) + g * g) - np.sqrt(n.get(k, 0.0))) * w[k]
+                n[k] = n.get(k, 0.0) + g * g
+            z0 += g - (np.sqrt(n0 + g * g) - np.sqrt(n0)) * w0
+            n0 += g * g
+    want = {k: weight(k) for k in z if weight(k)}
+    assert set(model.at.tolist()) == set(want) and all(abs(want[k] - w) < 1e-6 for k, w in zip(model.at.tolist(), model.weight.tolist(), strict=True))
+
+
+def test_language_scores_equal_naive_cosines(spark):
+    docs, _ = labelled(spark, "quality")
+    model = LanguageId(dimensions=512).fit(docs, F.lit(True))
+    texts = {r.doc_id: (r.text or "") for r in docs.collect()}
+    got = {r.doc_id: r for r in model.predict(docs).collect()}
+    for doc, text in sorted(texts.items(), key=lambda x: len(x[1]))[:120]:
+        data, count = bytes(b + 32 if 65 <= b <= 90 else b for b in text.encode()), np.zeros(512)
+        for i in range(len(data)):
+            gram = 0
+            for width, b in enumerate(data[i : i + 3], 1):
+                gram = (gram * 0x01000193 + b + width) % 2**32
+                count[(gram * 0x9E3779B1 % 2**32 >> 12) % 512] += 1
+        v = np.log1p(count) * model.idf
+        cosine = model.centre @ (v / max(np.linalg.norm(v), 1e-12))
+        best = int(np.argmax(cosine))
+        if got[doc].lang_pred != "und":
+            assert abs(got[doc].score - min(1, max(0, cosine[best]))) < 1e-4
+            assert got[doc].lang_pred == model.names[model.owner[best]] or np.sort(cosine)[-1] - np.sort(cosine)[-2] < 1e-5
