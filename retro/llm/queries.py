@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from retro.llm import quotation
+from retro.llm import pipeline_stages, quotation
 from retro.llm.embedding_dedup import EmbeddingDedup
 from retro.llm.jaccard_join import JaccardJoin
 from retro.llm.language_id import LanguageId
@@ -70,9 +70,7 @@ def op10_nearest_centroid_language(spark: SparkSession, sf_dir: str) -> DataFram
 
 
 def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
-    import corpus_pipeline
-
-    return corpus_pipeline.run(spark, sf_dir)
+    return pipeline_stages.run(spark, sf_dir)
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:

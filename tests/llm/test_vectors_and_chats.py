@@ -149,6 +149,78 @@ def test_quotation_linking(spark):
     assert quotation.reply_ordered(rows.limit(0)).count() == 0
 
 
+def threads(seed, conversations=30):
+    """Messages that quote earlier ones whole, by paragraph or line, with the quotes inside them one level deeper; some texts are said more than once."""
+    rng, said = np.random.default_rng(seed), []
+    for conv in range(conversations):
+        own = []
+        for turn in range(int(rng.integers(1, 9))):
+            lines = []
+            for _ in range(int(rng.integers(0, 3)) if own else 0):
+                other = own[int(rng.integers(0, len(own)))] if rng.random() < 0.8 or not said else said[int(rng.integers(0, len(said)))][3]
+                part = other.split("\n") if rng.random() < 0.6 else [x for x in [other.split("\n")[-1]] if x.strip()] or ["never said"]
+                lines += [("> " if rng.random() < 0.5 else ">") + x for x in part]
+                lines += ["thanks" if rng.random() < 0.5 else f"comment {conv} {turn} {len(lines)}"]
+            lines += [f"line {conv}.{turn}.{k}" if rng.random() < 0.9 else "me too" for k in range(int(rng.integers(1, 4)))]
+            own.append("\n".join(lines))
+            said.append((conv, turn, "user" if turn % 2 == 0 else "assistant", own[-1]))
+    return said
+
+
+def plain_links(said):
+    """The same by loops over all messages: {(conv, turn): (reply_to, n_quotes, n_linked, content)}."""
+    norm = lambda t: " ".join(t.split()).lower()
+    parsed = {}
+    for conv, turn, _, text in said:
+        own, runs, last = [], [], 0
+        for line in text.split("\n"):
+            rest, level = line, 0
+            while rest[:1] == ">":
+                level, rest = level + 1, rest[1:]
+                rest = rest[1:] if rest[:1] == " " else rest
+            if level and level == last:
+                runs[-1][1].append(rest)
+            elif level:
+                runs.append((level, [rest]))
+            else:
+                own.append(line)
+            last = level
+        body = "\n".join(own).strip()
+        parsed[conv, turn] = body, [(n, norm("\n".join(r))) for n, r in runs if norm("\n".join(r))], {norm(body), *map(norm, body.split("\n"))} - {""}
+    out = {}
+    for (conv, turn), (body, quotes, _) in parsed.items():
+        linked, answers = 0, []
+        for level, text in quotes:
+            here = [t for (c, t), p in parsed.items() if c == conv and text in p[2]]
+            to = (conv, min(here)) if here and min(here) < turn else min([k for k, p in parsed.items() if k[0] != conv and text in p[2]], default=None)
+            linked += to is not None
+            if to and to[0] == conv and level == 1:
+                answers.append(to[1])
+        out[conv, turn] = max(answers) if answers else turn - 1 if turn else None, len(quotes), linked, body
+    return out
+
+
+@pytest.mark.parametrize("seed", [1, 2])
+def test_reply_order_equals_brute_force(spark, seed):
+    said = threads(seed)
+    want = plain_links(said)
+    got = {(r.conv_id, r.turn): r for r in quotation.reply_ordered(spark.createDataFrame(said, "conv_id long, turn long, role string, text string")).collect()}
+    # a passage of several lines, of which no message is the whole, may be linked by its sentences; the plain loops know wholes alone
+    wholes = {k for k, w in want.items() if got[k].n_linked == w[2]}
+    assert len(wholes) > 0.8 * len(want) and sum(w[2] for w in want.values()) > 30
+    for k in wholes:
+        assert (got[k].reply_to, got[k].n_quotes, got[k].content) == (want[k][0], want[k][1], want[k][3])
+    assert all(got[k].n_linked >= w[2] for k, w in want.items())
+    for conv in {c for c, _ in want}:
+        turns = [t for c, t in want if c == conv]
+        depth, root = {}, {}
+        for t in turns:
+            up = got[conv, t].reply_to
+            depth[t], root[t] = (0, t) if up is None else (depth[up] + 1, root[up])
+            assert (got[conv, t].depth, got[conv, t].thread) == (depth[t], root[t])
+        assert sorted(turns, key=lambda t: got[conv, t].position) == sorted(turns, key=lambda t: (root[t], depth[t], t))
+
+
 LONG = "First line of it\nsecond line here\nthird line there\n\nA paragraph of its own.\n\nOne sentence. Another sentence! A last one?"
 
 
@@ -195,6 +267,15 @@ def test_pipeline_on_the_smallest_tables(spark):
         assert empty.count() == 0
 
 
+def test_near_duplicate_stage_keeps_one_row_of_each_document(spark):
+    import corpus_pipeline as p
+
+    long = " ".join(f"w{k}" for k in range(60))
+    rows = [(1, long), (1, long), (2, long + " end"), (3, None), (4, ""), (4, ""), (5, "other words here"), (None, long)]
+    docs = spark.createDataFrame([(i, t, "en", "s", None) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    assert sorted(r.doc_id for r in dict(p.STAGES)["near_duplicates"](spark, docs, "").collect()) == [1, 3, 4, 5]
+
+
 def test_registered_queries():
     import __spark_entry__ as e
 
