@@ -1,54 +1,11 @@
 """A corpus pipeline of four stages over `documents`: language, toxicity, near duplicates, packing.
 
-Each stage takes (spark, docs, sf_dir) and returns what it keeps; its result is written as Parquet in the shared folder and read again as the next
-stage's docs. All stages but the last return the columns of documents.
+Each stage takes (spark, docs, sf_dir) and returns what it keeps; run() writes each result as Parquet in the shared folder and reads it again as the next
+stage's docs. All stages but the last return the columns of documents. The stages themselves are in retro.llm.
 """
 
-from __future__ import annotations
+from retro.llm.pipeline_stages import STAGES, run
 
-import uuid
-
-import public_tokenizers
-from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
-
-from retro.llm.jaccard_join import JaccardJoin
-from retro.llm.language_id import LanguageId
-from retro.llm.packing import VectorBestFit
-from retro.llm.runtime import fold, shared_dir, table
-from retro.llm.toxicity import Toxicity
-
-
-def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Drops the documents that language ID rejects: no letter, or too far from every language's centroids."""
-    return LanguageId().fit(docs, fold("doc_id", 3) != 1).accepted(docs)
-
-
-def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Drops the documents that are predicted to be toxic."""
-    labels = table(spark, sf_dir, "labels").select("doc_id", F.col("toxic").alias("label"))
-    return Toxicity().fit(docs, labels, fold("doc_id", 3) != 1).accepted(docs)
-
-
-def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps the document with the least id of each group of near duplicates."""
-    kept = JaccardJoin().join(docs).where("doc_id = component_id").select("doc_id").distinct()
-    return docs.join(kept, "doc_id", "left_semi")
-
-
-def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Packs what is left into sequences of at most 1024 tokens."""
-    return VectorBestFit(capacity=1024).pack(docs, public_tokenizers.path("byte_bpe_50k.json"), 2)
-
-
-STAGES = [("language", language), ("toxicity", toxicity), ("near_duplicates", near_duplicates), ("packing", packing)]
 ORACLE_SQL = None  # learned scores and token ids have no SQL form
 
-
-def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents")
-    folder = f"{shared_dir(spark)}/pipeline-{uuid.uuid4().hex}"
-    for name, stage in STAGES:
-        stage(spark, docs, sf_dir).write.parquet(f"{folder}/{name}")
-        docs = spark.read.parquet(f"{folder}/{name}")
-    return docs
+__all__ = ["ORACLE_SQL", "STAGES", "run"]
