@@ -6,7 +6,7 @@ write. A read at n is tainted when it meets a cell whose number is below n; its
 of their cells. Each round only follows the cells that were lowered, so rounds follow the hops between cells, not the length of the log.
 
 Keys with wildcards meet by equality too: two keys agree when they agree on the dimensions that both fill, so both sides are
-projected to each other's mask and joined on (table, column, masks, projected key). Elements without any filled dimension in common
+projected to the masks that occur on the other and joined on (table, column, masks, projected key). Elements without any filled dimension in common
 meet in a table with one row for each column, which is broadcast.
 """
 
@@ -34,9 +34,13 @@ def _mask() -> Column:
     return F.aggregate(F.transform("key", lambda x, i: F.when(x.isNull(), 0).otherwise(F.expr("1")) * F.pow(F.lit(2), i).cast("int")), F.lit(0), lambda a, b: a + b)
 
 
-def _projected(rows: DataFrame, own: str, other: str) -> DataFrame:
-    """A row for each mask that the other side may have, with the key cut to the dimensions in common."""
-    rows = rows.withColumn(own, _mask()).withColumn(other, F.explode(F.sequence(F.lit(0), F.pow(F.lit(2), F.size("key")).cast("int") - 1)))
+def _projected(rows: DataFrame, own: str, other: str, masks: DataFrame | None = None) -> DataFrame:
+    """A row for each mask that the other side has (masks: tbl, col, `other`; without them, may have), with the key cut to the dimensions in common."""
+    rows = rows.withColumn(own, _mask())
+    if masks is None:
+        rows = rows.withColumn(other, F.explode(F.sequence(F.lit(0), F.pow(F.lit(2), F.size("key")).cast("int") - 1)))
+    else:
+        rows = rows.join(F.broadcast(masks), ["tbl", "col"])
     common = F.col(own).bitwiseAND(F.col(other))
     at = F.concat_ws("|", F.transform("key", lambda x, i: F.when(common.bitwiseAND(F.pow(F.lit(2), i).cast("int")) > 0, x).otherwise(F.lit(""))))
     return rows.withColumn("at", at).withColumn("free", common == 0)
@@ -44,25 +48,30 @@ def _projected(rows: DataFrame, own: str, other: str) -> DataFrame:
 
 def seeds(elements: DataFrame, targets: DataFrame, added: DataFrame | None = None) -> DataFrame:
     """(tbl, col, key, t): cells that the targets (idx) wrote, and those of added statements (elements whose idx is just before their place)."""
-    out = elements.where("mode = 'W'").join(F.broadcast(targets.select("idx")), "idx").select(*CELL, F.col("idx").alias("t"))
+    out = elements.where("mode = 'W'").join(targets.select("idx"), "idx").select(*CELL, F.col("idx").alias("t"))
     return out if added is None else out.unionByName(added.where("mode = 'W'").select(*CELL, F.col("idx").alias("t")))
 
 
 def affected(elements: DataFrame, seed: DataFrame, level: str = "cell", targets: DataFrame | None = None) -> DataFrame:
     """(idx, round) of the statements that can change, targets themselves left out."""
-    rows = at_level(elements, level).distinct()
-    first = seed.agg(F.min("t")).first()[0]
+    rows = at_level(elements, level)
+    taint = checkpointed(at_level(seed, level).groupBy(*CELL).agg(F.min("t").alias("t")))
+    first = taint.agg(F.min("t")).first()[0]
     if first is None:
         return rows.select("idx", F.lit(0).alias("round")).limit(0)
     rows = rows.where(F.col("idx") > first)
     if targets is not None:
-        rows = rows.join(F.broadcast(targets.select("idx")), "idx", "left_anti")
-    reads = checkpointed(_projected(rows.where("mode = 'R'"), "rmask", "tmask").select("idx", *_JOIN, "free"))
-    writes = checkpointed(rows.where("mode = 'W'").select("idx", *CELL))
-    taint = checkpointed(at_level(seed, level).groupBy(*CELL).agg(F.min("t").alias("t")))
+        rows = rows.join(targets.select("idx"), "idx", "left_anti")
+    # one row for each mask of each column that templates use: reads of columns that nothing writes meet none and go
+    masked = lambda df, mode: df.select("tbl", "col", _mask().alias("mask"), mode.alias("mode"))
+    kinds = masked(rows, F.col("mode")).unionByName(masked(taint, F.lit("W"))).distinct().collect()
+    of = lambda mode, name: elements.sparkSession.createDataFrame([(r.tbl, r.col, r.mask) for r in kinds if r.mode == mode], f"tbl string, col string, {name} int")
+    written, read = of("W", "tmask"), of("R", "rmask")
+    reads = checkpointed(_projected(rows.where("mode = 'R'"), "rmask", "tmask", written).select("idx", *_JOIN, "free"))
+    writes = checkpointed(rows.where("mode = 'W'").join(F.broadcast(read.select("tbl", "col").distinct()), ["tbl", "col"], "left_semi").select("idx", *CELL))
     delta, found, turn = taint, None, 1
     while True:
-        low = _projected(delta, "tmask", "rmask").groupBy(*_JOIN, "free").agg(F.min("t").alias("t"))
+        low = _projected(delta, "tmask", "rmask", read).groupBy(*_JOIN, "free").agg(F.min("t").alias("t"))
         met = [reads.where("free").join(F.broadcast(low.where("free").drop("free")), _JOIN), reads.where("not free").join(low.where("not free").drop("free"), _JOIN)]
         hit = met[0].unionByName(met[1]).where("idx > t").select("idx").distinct()
         if found is not None:
