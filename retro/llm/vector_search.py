@@ -9,7 +9,7 @@ distinct vectors and no fewer than `least` of them (a vector found in several tr
 scored exactly in double precision on the original vectors.
 
 Every vector is indexed in one shard (of about `shard` vectors, by a hash of the id, so that copies spread). The stated query set is compared with all
-shards in blocks. Vectors without structure need a large `share`: for random directions in 64 dimensions the 20 nearest are hardly nearer than
+shards in blocks. Vectors without structure need a large `share` and many trees: for random directions in 64 dimensions the 20 nearest are hardly nearer than
 the rest.
 
 Defined results: vectors that are null, empty, zero or hold null or non-finite components take no part, as queries and as candidates; the same for
@@ -34,9 +34,9 @@ _ONE, _ALL = np.uint64(1), np.uint64(0xFFFFFFFF)
 
 @dataclass(frozen=True)
 class PrefixForest:
-    trees: int = 24
-    share: float = 0.9
-    least: int = 6000
+    trees: int = 64
+    share: float = 0.75
+    least: int = 400
     #: Bands of norms for each halving.
     bands: int = 2
     shard: int = 16_384
