@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from retro.llm.runtime import checkpointed, components, matrix, sorted_groups, usable_vectors
+from retro.llm.runtime import checkpointed, components, lean, matrix, sorted_groups, usable_vectors
 
 
 @dataclass(frozen=True)
@@ -39,7 +39,7 @@ class EmbeddingDedup:
         agree = 1 - math.acos(self.threshold) / math.pi
         return bits, math.ceil(math.log(self.miss) / math.log(1 - agree**bits))
 
-    def _links(self, classes: DataFrame, bits: int, tables: int) -> DataFrame:
+    def _links(self, classes: DataFrame, kind: str, bits: int, tables: int) -> DataFrame:
         """(kind, a, b): kind 0: class a has b links of this group; kind 1: classes a and b are connected."""
         seed, least, block = self.seed, self.threshold, self.block
 
@@ -56,7 +56,7 @@ class EmbeddingDedup:
                     lists = pa.FixedSizeListArray.from_arrays(pa.array(code.ravel()), tables).cast(pa.list_(pa.int32()))
                     yield pa.RecordBatch.from_arrays([part.column("cid"), part.column("label"), part.column("weight"), part.column("embedding"), lists], ["cid", "label", "weight", "embedding", "codes"])
 
-        coded = classes.select("cid", "label", "weight", "embedding").mapInArrow(sign, "cid long, label string, weight long, embedding array<double>, codes array<int>")
+        coded = classes.select("cid", "label", "weight", F.col("embedding").cast(f"array<{kind}>").alias("embedding")).mapInArrow(lean(sign), f"cid long, label string, weight long, embedding array<{kind}>, codes array<int>")
         spread = coded.select("cid", "label", "weight", "embedding", "codes", F.size("embedding").alias("d"), F.posexplode("codes").alias("table", "code"))
         bucket = ["label", "d", "table", "code"]
         large = coded.select("label", F.size("embedding").alias("d"), F.posexplode("codes").alias("table", "code")).groupBy(*bucket).agg(F.count("*").alias("n"))
@@ -83,7 +83,7 @@ class EmbeddingDedup:
                 for a, b in zip(start.tolist(), end.tolist(), strict=True):
                     if b - a < 2:
                         continue
-                    x = matrix(embedding.slice(a, b - a), b - a)
+                    x = matrix(embedding.slice(a, b - a), b - a).astype(np.float64)
                     x = x / np.linalg.norm(x, axis=1, keepdims=True)
                     near = x @ x.T >= least
                     if cols["lo"][a] != cols["hi"][a]:
@@ -110,18 +110,20 @@ class EmbeddingDedup:
                         root = least_root
                     some = np.flatnonzero(root != np.arange(b - a))
                     joined.append(np.stack([c[some], c[root[some]]]))
-                for kind, found in ((0, counted), (1, joined)):
+                for what, found in ((0, counted), (1, joined)):
                     if found:
                         ab = np.concatenate(found, axis=1)
-                        yield pa.RecordBatch.from_arrays([pa.array(np.full(ab.shape[1], kind, np.int32)), pa.array(ab[0]), pa.array(ab[1])], ["kind", "a", "b"])
+                        yield pa.RecordBatch.from_arrays([pa.array(np.full(ab.shape[1], what, np.int32)), pa.array(ab[0]), pa.array(ab[1])], ["kind", "a", "b"])
 
-        return rows.mapInArrow(compare, "kind int, a long, b long")
+        return rows.mapInArrow(lean(compare), "kind int, a long, b long")
 
     def dedup(self, rows: DataFrame) -> DataFrame:
         """(vec_id, n_links, component_id, kept) for every row of rows (vec_id, embedding, label)."""
         usable = usable_vectors(rows, F.col("label").cast("string").alias("label")).where("label is not null")
         classes = checkpointed(usable.distinct().groupBy("label", "embedding").agg(F.min("vec_id").alias("cid"), F.count("*").alias("weight")))
-        found = checkpointed(self._links(classes, *self.shape(classes.count())))
+        # vectors stored as floats travel as floats, which is exact
+        kind = "float" if rows.schema["embedding"].dataType.simpleString() == "array<float>" else "double"
+        found = checkpointed(self._links(classes, kind, *self.shape(classes.count())))
         links = found.where("kind = 0").groupBy(F.col("a").alias("cid")).agg(F.sum("b").alias("links"))
         parts = components(found.where("kind = 1").select("a", "b")).withColumnRenamed("node", "cid")
         classes = classes.join(links, "cid", "left").join(parts, "cid", "left")
