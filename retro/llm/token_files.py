@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window
 
 from retro.llm.bpe import Bpe, WordBpe, loaded, runs
-from retro.llm.runtime import checkpointed, id_and_text, shared_dir
+from retro.llm.runtime import checkpointed, id_and_text, lean, shared_dir
 
 MAGIC = 0x31534B42544B5054
 BLOCK = 4096
@@ -97,7 +97,7 @@ class TokenFiles:
     end_id: int
     kind: type[Bpe] = WordBpe
     #: Ids of a segment, about.
-    segment_ids: int = 1 << 21
+    segment_ids: int = 1 << 19
     #: Bytes of text that a file takes, about; the number of files follows the table.
     file_bytes: int = 16 << 20
 
@@ -137,7 +137,7 @@ class TokenFiles:
         rows = id_and_text(docs)
         chars = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0
         ordered = rows.repartitionByRange(max(1, -(-chars // self.file_bytes)), "doc_id").sortWithinPartitions("doc_id", "text")
-        ordered.mapInArrow(run, "value binary").select(F.col("value").cast("string")).write.mode("overwrite").text(path)
+        ordered.mapInArrow(lean(run), "value binary").select(F.col("value").cast("string")).write.mode("overwrite").text(path)
 
     def read(self, spark: SparkSession, path: str) -> DataFrame:
         """(position, place, doc_id, n_tokens, ids) of every document: ids as little-endian unsigned 32-bit integers."""
@@ -159,7 +159,7 @@ class TokenFiles:
                             )
 
         files = spark.read.format("binaryFile").option("pathGlobFilter", "part-*").load(path).select("content")
-        return files.mapInArrow(run, f"position long, place long, doc_id long, n_tokens long, {column}")
+        return files.mapInArrow(lean(run), f"position long, place long, doc_id long, n_tokens long, {column}")
 
     def digest(self, docs: DataFrame) -> DataFrame:
         """(doc_id, start, n_tokens, ids_crc32) of every document, from files that were written and read again."""
