@@ -11,6 +11,7 @@ from __future__ import annotations
 import hashlib
 import inspect
 from collections.abc import Callable
+from itertools import islice, repeat
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -95,7 +96,7 @@ def in_order(calls: DataFrame, base: DataFrame | None, body: Body, parallel: boo
         db, at, now, world = Cells(), None, None, None
         for batch in batches:
             out = []
-            for comp, idx, kind, fn, args, recorded, tbl, row_key, col, val, old, last in zip(*(batch.column(k).to_pylist() for k in names), strict=True):
+            for comp, idx, kind, fn, args, recorded, tbl, row_key, col, val, old, last in zip(*(_listed(batch.column(k)) for k in names), strict=True):
                 if world is not None and (idx != now or comp != at) and world.matched(now):
                     out.append((at, now, STOPPED, str(at), None, None, None))
                 if parallel and comp != at:
@@ -112,9 +113,9 @@ def in_order(calls: DataFrame, base: DataFrame | None, body: Body, parallel: boo
                 if kind == 1:
                     world.logged(tbl, row_key, col, val, old, last)
                     continue
-                given = {a["key"]: read(a["value"]) for a in args}
+                given = {k: read(v) for k, v in args}
                 if recorded is not None:
-                    drawn = {a["key"]: read(a["value"]) for a in recorded}
+                    drawn = {k: read(v) for k, v in recorded}
                     db.native = lambda name, *_, drawn=drawn: drawn[name]
                 before = _Before(db.values)
                 db.values, held = before, db.values
@@ -135,6 +136,17 @@ def in_order(calls: DataFrame, base: DataFrame | None, body: Body, parallel: boo
     return rows.mapInArrow(run, VERSION.format(value))
 
 
+def _listed(column: pa.Array):
+    """A column's values; entries of maps as lists of pairs, by way of flat arrays."""
+    if column.null_count == len(column):
+        return repeat(None, len(column))
+    if not pa.types.is_list(column.type):
+        return column.to_pylist()
+    keys, held = column.flatten().flatten()
+    pairs = zip(keys.to_pylist(), held.to_pylist(), strict=True)
+    return [None if n is None else list(islice(pairs, n)) for n in column.value_lengths().to_pylist()]
+
+
 def _version_rows(out: list[tuple], typed: bool) -> pa.RecordBatch:
     value = pa.string() if typed else pa.int64()
     kinds = (pa.int64(), pa.int64(), pa.string(), pa.string(), pa.string(), value, value)

@@ -14,9 +14,10 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window
 
+from retro.operators import pieces as X
 from retro.operators import versions as V
 from retro.operators.hashing import literal_match, unchanged
-from retro.operators.replay import STOPPED
+from retro.operators.replay import STOPPED, Body, replayer
 from retro.sources.tables import checkpointed, shared_dir
 
 CELL = V.CELL
@@ -77,6 +78,38 @@ def component_whatif(calls: DataFrame, targets: DataFrame, versions: DataFrame,
     return kept.select(*versions.columns).unionByName(fresh.select(*versions.columns))
 
 
+def pieces_whatif(calls: DataFrame, targets: DataFrame, procedures: dict) -> DataFrame:
+    """The state (tbl, row_key, col, val as typed text) after a history without the targets, whose calls shared tables tie together. Procedures run in the pieces
+    that share no cell: those of unguarded assignments and additions are folded, the others replayed by component, a row's key where the piece has one.
+
+    calls: idx, fn and a column for each parameter, lists as arrays of structs."""
+    gone = F.broadcast(checkpointed(targets.select(F.col("idx").alias("call"))))
+    groups: dict[str, list] = {}
+    for name, own in X.split(procedures).items():
+        for piece in own:
+            groups.setdefault(piece.group, []).append((piece, calls.where(F.col("fn") == name)))
+    folded, replayed = [], []
+    for own in groups.values():
+        (folded if all(X.folds(*x) for x in own) else replayed).extend(own)
+    out = []
+    if folded:
+        actual = _union([X.effects(*x) for x in folded])
+        out.append(fold_whatif(actual, actual.join(gone, "call", "left_anti"), actual.join(gone, "call", "left_semi")).withColumn("val", F.concat(F.lit("i"), F.col("val").cast("string"))))
+    if replayed:
+        rows = checkpointed(_union([X.piece_calls(*x) for x in replayed]))
+        replay = replayer(Body({}, {piece.procedure.name: piece.procedure for piece, _ in replayed}))
+        versions = checkpointed(replay(rows.drop("call")))
+        out.append(V.as_of(component_whatif(rows.drop("call"), rows.join(gone, "call", "left_semi").select("idx"), versions, replay)).select(*CELL, "val"))
+    return _union(out)
+
+
+def _union(frames: list[DataFrame]) -> DataFrame:
+    out = frames[0]
+    for f in frames[1:]:
+        out = out.unionByName(f)
+    return out
+
+
 def bucketed_whatif(calls: DataFrame, targets: DataFrame, versions: DataFrame, replay, cuts: list[int], literal: bool = False) -> tuple[DataFrame, int | None]:
     """The same for a history that is one component: buckets of commit order run one after the other from the first operation on, and while a bucket runs, a
     separate job compares the tables' hashes at the end of the one before. Returns the versions and the index from which on the logged ones are
